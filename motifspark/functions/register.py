@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from motifspark.plans.language import words
 from motifspark.plans.lattice import hole_keys
@@ -14,6 +15,10 @@ from motifspark.plans.seeds import is_seed, loop_seeds, seed_kinds
 from motifspark.plans.tree import Tree, canonical_word, parse_tree
 
 
+def _row(*names: str) -> T.StructType:
+    return T.StructType([T.StructField(n, T.StringType()) for n in names])
+
+
 def _earliest(t: Tree, trace: list, at: int) -> int | None:
     if t.is_leaf:
         try:
@@ -31,47 +36,47 @@ def _earliest(t: Tree, trace: list, at: int) -> int | None:
     return min((e for e in (x, y) if e is not None), default=None)
 
 
-@F.pandas_udf("boolean")
+@F.pandas_udf(T.BooleanType())
 def tree_contains(acts: pd.Series, tree: pd.Series) -> pd.Series:
     parsed = {t: parse_tree(t) for t in tree.unique()}
     return pd.Series([a is not None and _earliest(parsed[t], list(a), 0) is not None for a, t in zip(acts, tree, strict=True)])
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def canonical_text(tree: pd.Series) -> pd.Series:
     return tree.map(lambda t: canonical_word(parse_tree(t)))
 
 
-@F.pandas_udf("int")
+@F.pandas_udf(T.IntegerType())
 def tree_depth(tree: pd.Series) -> pd.Series:
     return tree.map(lambda t: parse_tree(t).depth)
 
 
-@F.pandas_udf("boolean")
+@F.pandas_udf(T.BooleanType())
 def seed_of(small: pd.Series, big: pd.Series) -> pd.Series:
     return pd.Series([is_seed(parse_tree(a), parse_tree(b)) for a, b in zip(small, big, strict=True)])
 
 
-@F.udtf(returnType="word string")
+@F.udtf(returnType=_row("word"))
 class TreeWords:
     def eval(self, tree: str, rounds: int) -> Iterator[tuple[str]]:
         for w in sorted(words(parse_tree(tree), rounds)):
             yield (" ".join(w),)
 
 
-@F.udtf(returnType="seed string, kind string")
+@F.udtf(returnType=_row("seed", "kind"))
 class SeedClosure:
     def eval(self, tree: str) -> Iterator[tuple[str, str]]:
         yield from sorted(seed_kinds(parse_tree(tree)).items())
 
 
-@F.udtf(returnType="seed string")
+@F.udtf(returnType=_row("seed"))
 class LoopSeeds:
     def eval(self, tree: str) -> Iterator[tuple[str]]:
         yield from ((s,) for s in sorted(loop_seeds(parse_tree(tree))))
 
 
-@F.udtf(returnType="hole string, leaf string")
+@F.udtf(returnType=_row("hole", "leaf"))
 class HoleKeys:
     def eval(self, tree: str) -> Iterator[tuple[str, str]]:
         yield from sorted({(k, v.at(p).label) for k, p, v in hole_keys(parse_tree(tree))})
