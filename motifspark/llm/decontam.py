@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, durable, text_or_empty
+from .common import ascii_lower, durable, sized_broadcast, text_or_empty
 
 _GAPS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
@@ -55,11 +55,6 @@ def _places(docs: DataFrame, lengths: list[int]) -> DataFrame:
     return at.select("doc_id", "tk", "w", "at", F.inline(F.filter(F.array(*made), lambda x: x.isNotNull())))
 
 
-def sized_broadcast(df: DataFrame, bytes_per_row: int, limit_bytes: int) -> DataFrame:
-    """Mark a materialised table for broadcast if its counted rows stay within the limit."""
-    return F.broadcast(df) if df.count() * bytes_per_row <= limit_bytes else df
-
-
 def decontaminate(
     docs: DataFrame,
     bench: DataFrame,

@@ -21,7 +21,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import shared_folder
+from .common import durable, shared_folder, sized_broadcast
 
 VERSION = b"WARC/1.1\r\n"
 END = "\r\n\r\n"
@@ -31,12 +31,14 @@ PAGE = "page_id long, url string, record_type string, refers_to long, payload_by
 
 @dataclass(frozen=True)
 class ArchiveSpec:
-    """``min_bytes``: smallest payload that may be a revisit. ``file_bytes``: aim for the size of an archive file."""
+    """``min_bytes``: smallest payload that may be a revisit. ``file_bytes``: aim for the size of an archive file.
+    ``broadcast_bytes``: bound on the table of repeated digests that is broadcast; beyond it payloads are shuffled."""
 
     min_bytes: int = 0
     segment_bytes: int = 256 << 10
     chunk_bytes: int = 32 << 10
-    file_bytes: int = 32 << 20
+    file_bytes: int = 16 << 20
+    broadcast_bytes: int = 32 << 20
 
 
 def sha1_base32(data: bytes) -> str:
@@ -92,14 +94,16 @@ def write_archives(pages: DataFrame, path: str, spec: ArchiveSpec | None = None,
     """Write one logical record per row. Of equal payloads of ``min_bytes`` or more, the least id is the response.
 
     Null payloads count as empty; a null id never refers nor is referred to; repeated rows of the least id are
-    responses each. Only digests that occur more than once are joined, so the payload seldom has to be shuffled.
+    responses each. Only digests that occur more than once are joined; their table is broadcast below a
+    bound, so payloads are shuffled only where repeats are many.
     """
     spec = spec or ArchiveSpec()
     payload = F.coalesce(F.col(html_col).cast("string").cast("binary"), F.lit(b""))
     own = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), payload.alias("payload"))
     own = own.withColumn("d", F.when(F.octet_length("payload") >= spec.min_bytes, F.sha1("payload")))
     firsts = own.where("d is not null and page_id is not null").groupBy("d").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
-    joined = own.join(firsts.where("n > 1").drop("n"), "d", "left").select("page_id", "url", "payload", "first_id")
+    firsts = sized_broadcast(durable(firsts.where("n > 1").drop("n")), 128, spec.broadcast_bytes)
+    joined = own.join(firsts, "d", "left").select("page_id", "url", "payload", "first_id")
     size = own.agg(F.avg(F.octet_length("payload"))).first()[0] or 0.0
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
