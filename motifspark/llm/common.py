@@ -54,3 +54,12 @@ def text_or_empty(c: Column) -> Column:
 def sized_broadcast(df: DataFrame, bytes_per_row: int, limit_bytes: int) -> DataFrame:
     """Mark a materialised table for broadcast if its counted rows stay within the limit."""
     return F.broadcast(df) if df.count() * bytes_per_row <= limit_bytes else df
+
+
+def sealed(df: DataFrame, keep: list, made: dict[str, Column]) -> DataFrame:
+    """``keep`` and the columns ``made``, behind a generator of one row.
+
+    Predicates on columns made by higher-order functions would otherwise be pushed below, with whole arrays written out
+    inside their lambdas and evaluated again for every element.
+    """
+    return df.select(*keep, F.inline(F.array(F.struct(*[c.alias(n) for n, c in made.items()]))))

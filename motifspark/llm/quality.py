@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import sealed, text_or_empty
 
 #: Frequent function words of the four languages of the corpus.
 STOP_WORDS = (
@@ -94,7 +94,7 @@ def measure(docs: DataFrame, text_col: str = "text") -> DataFrame:
     counts["n_capitals"] = F.length(F.regexp_replace("t", r"\P{Lu}+", "")).cast("long")
     counts["n_stutter"] = F.expr("size(filter(w, (x, i) -> i > 0 and x = w[greatest(i - 1, 0)]))").cast("long")
     counts["stop_words"] = F.size(F.array_intersect(F.split(F.lower("t"), " ", -1), stop)).cast("long")
-    own = own.withColumns(counts)
+    own = sealed(own, [F.col(f"`{c}`") for c in docs.columns], counts)
     n = F.greatest(F.col("n_words"), F.lit(1))
     return own.withColumns(
         {

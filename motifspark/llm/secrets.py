@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import sealed, text_or_empty
 
 #: The patterns of the base kinds, with the group whose length counts and the least length.
 ASSIGN = r"""(?i:(?:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -102,7 +102,7 @@ def find_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     last = f"coalesce(array_max(transform(cand, (x, i) -> case when x.q <= {false_discovery}D * (i + 1) / size(cand) then i + 1 else 0 end)), 0)"
     added = F.expr(f"transform(filter(slice(cand, 1, {last}), x -> x.passed), x -> x.c)")
     none = F.expr("cast(array() as array<struct<s:int,k:int,e:int,kind:string>>)")
-    return own.select("row", "t", "base", F.array_sort(F.concat("base", F.coalesce(added, none))).alias("spans"))
+    return sealed(own, ["row", "t"], {"base": F.col("base"), "spans": F.array_sort(F.concat("base", F.coalesce(added, none)))})
 
 
 def span_text(spans: str) -> Column:
