@@ -95,11 +95,11 @@ class Progress:
         step(len(self.program) - 1, 0)
 
 
-def open_cases(events: DataFrame, key: str, activity: str, order: list[str], trees: list[Tree | str], idle_ms: int = 3_600_000) -> DataFrame:
+def open_cases(events: DataFrame, key: str, activity: str, order: list[str], trees: list[Tree | str], idle_ms: int | None = None) -> DataFrame:
     """Running state per key: ``key, tree, pos`` whenever a tree is completed, at the place of the completing event.
 
     State is one number per node of the trees, whatever the length of the case; events of a trigger are taken in order
-    and must not be older than those of earlier triggers. A key without events for ``idle_ms`` is forgotten.
+    and must not be older than those of earlier triggers. With ``idle_ms`` a key without events for so long is forgotten.
     """
     own = [parse_tree(t) if isinstance(t, str) else t for t in trees]
     machines = [Progress(t) for t in own]
@@ -122,8 +122,9 @@ def open_cases(events: DataFrame, key: str, activity: str, order: list[str], tre
                     if e[-1]:
                         done.append((str(k[0]), str(t), n))
         state.update((n, [x for e in ends for x in e]))
-        state.setTimeoutDuration(idle_ms)
+        if idle_ms:
+            state.setTimeoutDuration(idle_ms)
         yield pd.DataFrame(done, columns=["key", "tree", "pos"])
 
     grouped = events.select(key, activity, *[o for o in order if o not in (key, activity)]).groupBy(key)
-    return grouped.applyInPandasWithState(run, "key string, tree string, pos bigint", "n bigint, ends array<bigint>", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return grouped.applyInPandasWithState(run, "key string, tree string, pos bigint", "n bigint, ends array<bigint>", "append", GroupStateTimeout.ProcessingTimeTimeout if idle_ms else GroupStateTimeout.NoTimeout)
