@@ -8,7 +8,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifspark.llm import decontam, langid, packing, secrets, simhash
-from motifspark.llm.common import read_table, shared_folder
+from motifspark.llm.common import durable, read_table, shared_folder, sized_broadcast
+
+#: Bound on a table of ids that a stage broadcasts.
+BROADCAST_BYTES = 32 << 20
 
 
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,17 +21,31 @@ def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each group of near duplicates: the least doc_id, and one row of those that repeat it."""
-    groups = simhash.near_duplicates(docs)
-    first = groups.where("doc_id = component_id or component_id is null").select("doc_id").distinct()
-    kept = docs.join(first, docs.doc_id.eqNullSafe(first.doc_id), "left_semi")
-    return kept.dropDuplicates(["doc_id"])
+    """One row of each group of near duplicates: the least doc_id, and one row of those that repeat it.
+
+    Rows without a doc_id cannot be told apart and stay. The ids that go are broadcast below a bound, so that texts are
+    shuffled only where repeats are many.
+    """
+    groups = durable(simhash.near_duplicates(docs).where("doc_id is not null"))
+    gone = _sized(groups.where("doc_id <> component_id").select("doc_id").distinct())
+    kept = docs.join(gone, "doc_id", "left_anti")
+    twice = durable(groups.groupBy("doc_id").count().where("count > 1").select("doc_id"))
+    if not twice.isEmpty():
+        again = _sized(twice)
+        kept = kept.join(again, "doc_id", "left_anti").unionByName(kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of which less than a twentieth of the words are benchmark passages."""
-    found = decontam.decontaminate(docs, read_table(spark, sf_dir, "benchmark")).where("contaminated").select("doc_id")
-    return docs.join(found, docs.doc_id.eqNullSafe(found.doc_id), "left_anti")
+    """Documents of which less than a twentieth of the words are benchmark passages, each judged by its own text."""
+    found = decontam.decontaminate(docs, read_table(spark, sf_dir, "benchmark"), keep_key=True).where("contaminated")
+    found = _sized(found.select(F.col("doc_id").alias("i"), F.col("tk").alias("k")).distinct())
+    same = docs.doc_id.eqNullSafe(found.i) & (decontam.text_key(docs.text.cast("string")) == found.k)
+    return docs.join(found, same, "left_anti")
+
+
+def _sized(ids: DataFrame) -> DataFrame:
+    return sized_broadcast(durable(ids), 64, BROADCAST_BYTES)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

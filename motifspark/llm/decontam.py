@@ -22,6 +22,10 @@ def words(text: Column) -> Column:
     return F.array_remove(F.split(ascii_lower(text_or_empty(text)), _GAPS, -1), "")
 
 
+def text_key(text: Column) -> Column:
+    return F.xxhash64(text, F.length(text))
+
+
 def _key(at: str, n: int) -> Column:
     return F.expr(f"xxhash64({', '.join(f'w[{at} + {i}]' for i in range(n))})")
 
@@ -66,23 +70,25 @@ def decontaminate(
     shingle: int = 5,
     share: int = 20,
     broadcast_bytes: int = 48 << 20,
+    keep_key: bool = False,
 ) -> DataFrame:
     """``doc_id, n_words, n_hit, n_items, items_sha256, items, contaminated`` for every row of ``docs``.
 
     A word is hit inside any occurrence of a window; a document is contaminated if at least one word in ``share`` is
     hit. Null and wordless texts have no words and are clean; items without id or word are left out; repeated rows give
-    equal results; rows that share an id but not the text are judged each on its own text. Without items all rows are
+    equal results; rows that share an id but not the text are judged each on its own text (``keep_key`` adds its key ``tk``). Without items all rows are
     clean. The table of shingles is broadcast only below ``broadcast_bytes``, and shuffled by its keys beyond.
     """
     own = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("t"))
-    own = own.select("doc_id", F.xxhash64("t", F.length("t")).alias("tk"), words(F.col("t")).alias("w"))
+    own = own.select("doc_id", text_key(F.col("t")).alias("tk"), words(F.col("t")).alias("w"))
 
     parts = durable(shingled(item_windows(bench, item_col, item_text_col, window), shingle))
     lengths = sorted(r["s"] for r in parts.select("s").distinct().collect())  # at most `shingle` values
     none = F.array().cast("array<string>")
+    key = ["tk"] if keep_key else []
     if not lengths:
         return own.select(
-            "doc_id", F.size("w").cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_hit"), F.lit(0).cast("long").alias("n_items"),
+            *key, "doc_id", F.size("w").cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_hit"), F.lit(0).cast("long").alias("n_items"),
             F.sha2(F.lit(""), 256).alias("items_sha256"), none.alias("items"), F.lit(False).alias("contaminated"),
         )
 
@@ -105,6 +111,7 @@ def decontaminate(
     out = base.join(per_doc, F.col("doc_id").eqNullSafe(F.col("i")) & (F.col("tk") == F.col("k")), "left")
     out = out.withColumn("n_hit", F.coalesce("n_hit", F.lit(0).cast("long"))).withColumn("items", F.coalesce("items", none))
     return out.select(
+        *key,
         "doc_id",
         "n_words",
         "n_hit",
