@@ -11,6 +11,7 @@ only the new node, or what must move behind it, is looked up again, on the rows
 
 from __future__ import annotations
 
+import functools
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -120,13 +121,9 @@ def scan(tr: Traces, t: Tree, rows: np.ndarray, start: np.ndarray, work: Work |
     return Match(np.minimum(left.end, right.end), at)
 
 
-def _kept(seed: dict[Slot, np.ndarray], t: Tree, runs: tuple[int, ...], rows: np.ndarray) -> dict[Slot, np.ndarray]:
-    return {s: seed[s][rows] for s in slots(t, runs)}
-
-
 def _ends(at: dict[Slot, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    m = np.stack(list(at.values()))
-    return m.min(0), m.max(0)
+    own = list(at.values())
+    return functools.reduce(np.minimum, own), functools.reduce(np.maximum, own)
 
 
 def grow(tr: Traces, t: Tree, path: Path, seed1: dict[Slot, np.ndarray], seed2: dict[Slot, np.ndarray], rows: np.ndarray, work: Work | None = None) -> Match:
@@ -135,52 +132,60 @@ def grow(tr: Traces, t: Tree, path: Path, seed1: dict[Slot, np.ndarray], seed2:
     ``path`` leads to the new node, whose left leaf is in ``seed1`` and right leaf in ``seed2``.
     """
     work = work or Work()
+    whole = slice(None) if len(rows) == tr.rows else rows  # views instead of copies; places are never written to
     block = loop_block(t, path)
     in_loop = t.at(block).op == "loop"
     zero = np.zeros(len(rows), np.int32)
     if t.has("xor"):
         return scan(tr, t, rows, zero, work)
 
+    def kept_places(seed: dict[Slot, np.ndarray], node: Tree) -> dict[Slot, np.ndarray]:
+        return {s: seed[s][whole] for s in slots(node)}
+
     def step(node: Tree, here: Path, start: np.ndarray) -> Match:
         if in_loop and here == block:
             return scan(tr, node, rows, start, work)
         if here == path:
             a, b = (node.left.label, ()), (node.right.label, ())
-            pa, pb = seed1[a][rows], seed2[b][rows]
+            pa, pb = seed1[a][whole], seed2[b][whole]
             work.reused += len(rows)
             if node.op == "and":
                 work.reused += len(rows)
                 return Match(np.maximum(pa, pb), {a: pa, b: pb})
-            late = pb <= pa  # the stored place is not behind the other leaf
-            pb = pb.copy()
-            pb[late] = tr.next(node.right.label, rows[late], pa[late])
-            work.realigned += int(late.sum())
-            work.reused += len(rows) - int(late.sum())
+            late = np.flatnonzero(pb <= pa)  # the stored place is not behind the other leaf
+            if len(late):
+                pb = pb.copy()
+                pb[late] = tr.next(node.right.label, rows[late], pa[late])
+            work.realigned += len(late)
+            work.reused += len(rows) - len(late)
             return Match(pb, {a: pa, b: pb})
         right_changed = path[len(here)] == 1
         if node.op == "and" or right_changed:
             same, changed, side = (node.left, node.right, 1) if right_changed else (node.right, node.left, 0)
-            kept = _kept(seed1, same, (), rows)
+            kept = kept_places(seed1, same)
             work.reused += len(kept) * len(rows)
             end = _ends(kept)[1]
             other = step(changed, (*here, side), start if node.op == "and" else end)
             return Match(np.maximum(end, other.end) if node.op == "and" else other.end, kept | other.at)
         left = step(node.left, (*here, 0), start)
-        one, two = _kept(seed1, node.right, (), rows), _kept(seed2, node.right, (), rows)
+        one, two = kept_places(seed1, node.right), kept_places(seed2, node.right)
         (lo1, hi1), (lo2, hi2) = _ends(one), _ends(two)
-        swap = lo2 < lo1  # the earlier start first, whichever seed has it
-        near_lo, far_lo = np.where(swap, lo2, lo1), np.where(swap, lo1, lo2)
-        near, later = near_lo > left.end, (near_lo <= left.end) & (far_lo > left.end)
-        again = ~near & ~later
-        from_two = (near & swap) | (later & ~swap)
-        at = {s: np.where(from_two, two[s], one[s]) for s in one}
-        end = np.where(from_two, hi2, hi1)
-        if again.any():
+        fits1, fits2 = lo1 > left.end, lo2 > left.end
+        from_two = fits2 & ((lo2 < lo1) | ~fits1)  # the earlier start if it lies behind the left side, else the later one
+        again = np.flatnonzero(~(fits1 | fits2))
+        if from_two.any():
+            at = {s: np.where(from_two, two[s], one[s]) for s in one}
+            end = np.where(from_two, hi2, hi1)
+        elif len(again):
+            at, end = {s: p.copy() for s, p in one.items()}, hi1.copy()
+        else:
+            at, end = one, hi1
+        if len(again):
             found = scan(tr, node.right, rows[again], left.end[again], work)
             for s in at:
                 at[s][again] = found.at[s]
             end[again] = found.end
-        work.reused += len(at) * int((~again).sum())
+        work.reused += len(at) * (len(rows) - len(again))
         return Match(end, left.at | at)
 
     return step(t, (), zero)

@@ -169,7 +169,7 @@ def _unpack(maps: pa.Array, layout: dict[str, list[kernel.Slot]], rows: int) ->
     return out
 
 
-def _grown(tr: kernel.Traces, c: Candidate, stored: dict, work: kernel.Work) -> tuple[np.ndarray, kernel.Match]:
+def _grown(tr: kernel.Traces, c: Candidate, stored: dict | Places, work: kernel.Work) -> tuple[np.ndarray, kernel.Match]:
     """Rows that both seeds match, and the candidate's match on them."""
     one, two = stored[c.seed1], stored[c.seed2]
     rows = np.nonzero((next(iter(one.values())) > 0) & (next(iter(two.values())) > 0))[0]
@@ -192,6 +192,74 @@ def _growth_counts(cands: list[Candidate], codes: dict[str, int], layout: dict)
     return run
 
 
+class Places:
+    """Places of frequent trees on one block of traces, grown out of those of their own seeds when first asked for.
+
+    A tree holds zeros in rows without a match. Within ``room`` bytes trees are held for the candidates that follow;
+    beyond it the oldest go and are grown again if needed.
+    """
+
+    def __init__(self, tr: kernel.Traces, known: dict[str, Candidate], room: int = 192 << 20):
+        self.tr, self.known, self.room = tr, known, room
+        self._held: dict[str, dict[kernel.Slot, np.ndarray]] = {}
+
+    def __getitem__(self, pid: str) -> dict[kernel.Slot, np.ndarray]:
+        if (at := self._held.get(pid)) is None:
+            at = self._held[pid] = self._grow(pid)
+            self.room -= sum(p.nbytes for p in at.values())
+            while self.room < 0 and len(self._held) > 2:
+                gone = self._held.pop(next(iter(self._held)))
+                self.room += sum(p.nbytes for p in gone.values())
+        return at
+
+    def _grow(self, pid: str) -> dict[kernel.Slot, np.ndarray]:
+        tr = self.tr
+        if (c := self.known.get(pid)) is None:  # an activity
+            p = tr.next(pid, *_all(tr))
+            return {(pid, ()): np.where(p < tr.far, p, 0).astype(np.int32)}
+        rows, m = _grown(tr, c, self, kernel.Work())
+        hit = m.end < tr.far
+        out = {}
+        for s, p in m.at.items():
+            if hit.all() and len(rows) == tr.rows:
+                out[s] = p
+                continue
+            out[s] = np.zeros(tr.rows, np.int32)
+            out[s][rows[hit]] = p[hit]
+        return out
+
+
+def _regrown_counts(cands: list[Candidate], codes: dict[str, int], known: dict[str, Candidate]) -> Callable:
+    """Kernel that grows candidates out of seeds whose places are made in the task itself, so that nothing is stored
+    between levels. The counters hold the work on the candidates."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((len(cands), 4), np.int64)
+        for b in batches:
+            for acts, (weight,) in blocks(b, ["weight"]):
+                w, tr = weight.to_numpy(), kernel.Traces(acts, codes)
+                places = Places(tr, known)
+                for i, c in enumerate(cands):
+                    work = kernel.Work()
+                    rows, m = _grown(tr, c, places, work)
+                    total[i, :3] += w[rows[m.end < tr.far]].sum(), work.realigned, work.reused
+        yield _counter_batch(total)
+
+    return run
+
+
+def ancestors(cands: list[Candidate], seeds: dict[str, Candidate]) -> dict[str, Candidate]:
+    """The seeds of some candidates, their seeds, and so on; activities are left out."""
+    out: dict[str, Candidate] = {}
+    todo = [s for c in cands for s in (c.seed1, c.seed2)]
+    while todo:
+        pid = todo.pop()
+        if pid in seeds and pid not in out:
+            out[pid] = seeds[pid]
+            todo += [seeds[pid].seed1, seeds[pid].seed2]
+    return out
+
+
 def _advance(kept: list[Candidate], codes: dict[str, int], before: dict, after: dict) -> Callable:
     """Kernel that replaces the stored places of one level by those of the next; rows without a match hold zeros."""
 
@@ -376,11 +444,14 @@ def mine_patterns(
     max_candidates: int = 200_000,
     compress: bool = True,
     chunk: int = 2000,
+    places: str = "regrown",
 ) -> MiningResult:
     """Frequent patterns of a log up to a depth.
 
     ``mode``: ``growth``, ``scan`` or ``search``. ``maximality``: ``none`` or ``regular`` (trees of the construction of a
     frequent tree go). ``choice_rule``: ``exact``, or ``paper`` for the union of the seeds' hits also within loop bodies.
+    ``places`` (growth): ``regrown`` makes the places of seeds again within each task and reads only the log, ``stored``
+    writes those of a level in the shared folder, which pays where seeds cost more than reading their places.
     A level with more than ``max_candidates`` candidates raises; nothing is cut silently. An empty log has no patterns.
     """
     began = time.time()
@@ -390,7 +461,10 @@ def mine_patterns(
     need = min_count(min_support, n)
     level = 2
     layout = {a: [(a, ())] for a in codes}
-    mapped = store(coded.mapInArrow(_first_maps(list(codes), codes), MAPPED)) if mode == "growth" and codes else coded
+    if places not in ("regrown", "stored"):
+        raise ValueError(f"unknown way to keep places: {places}")
+    stored = mode == "growth" and places == "stored"
+    mapped = store(coded.mapInArrow(_first_maps(list(codes), codes), MAPPED)) if stored and codes else coded
     cands = {c.pid: c for c in (Candidate(t, (), t.left.label, t.right.label) for t in atomic_patterns(codes))}
     frequent: dict[str, int] = {}
     seeds: dict[str, Candidate] = {}
@@ -399,7 +473,7 @@ def mine_patterns(
         if len(cands) > max_candidates:
             raise TooManyCandidates(f"{len(cands)} candidates of {level} leaves")
         started = time.time()
-        got = _evaluate(mapped, list(cands.values()), codes, mode, layout, choice_rule, chunk)
+        got = _evaluate(mapped, list(cands.values()), codes, mode, layout if stored else seeds, stored, choice_rule, chunk)
         good = {pid: c for pid, c in cands.items() if got[pid][0] >= need}
         frequent |= {pid: got[pid][0] for pid in good}
         seeds |= good
@@ -410,7 +484,7 @@ def mine_patterns(
         else:
             low = {canonical(c.tree): got[p][0] for p, c in cands.items() if 0 < got[p][0] < need} if choices else {}
             following = next_level([canonical(c.tree) for c in good.values()], low, max_depth, need)
-        if following and mode == "growth":
+        if following and stored:
             used = {s for c in following.values() if c.op != "xor" and not c.tree.has("xor") for s in (c.seed1, c.seed2)}
             kept = [c for p, c in good.items() if p in used]
             after = _widths({c.pid: c.tree for c in kept})
@@ -433,13 +507,17 @@ def mine_patterns(
     return MiningResult(spark, rows, frequent, dag, counters, coded, codes, int(n), time.time() - began, kept)
 
 
-def _evaluate(log: DataFrame, cands: list[Candidate], codes: dict, mode: str, layout: dict, choice_rule: str, chunk: int) -> dict[str, tuple[int, int, int, int]]:
-    """Counters by candidate. Candidates with a choice always take the full way, as their union may not be grown."""
+def _evaluate(log: DataFrame, cands: list[Candidate], codes: dict, mode: str, base: dict, stored: bool, choice_rule: str, chunk: int) -> dict[str, tuple[int, int, int, int]]:
+    """Counters by candidate. Candidates with a choice always take the full way, as their union may not be grown.
+
+    ``base``: the layout of stored places, or the frequent trees from which they are grown again."""
     out: dict[str, tuple[int, int, int, int]] = {}
     grown = [c for c in cands if mode == "growth" and not c.tree.has("xor")]
     plain = [c for c in cands if not (mode == "growth" and not c.tree.has("xor"))]
     union = [c for c in plain if choice_rule == "paper" and c.op == "xor"]
-    got = _in_chunks(log, grown, lambda part: _growth_counts(part, codes, layout), chunk)
+    grown.sort(key=lambda c: (c.seed1, c.seed2))  # candidates with a seed in common follow each other
+    way = (lambda part: _growth_counts(part, codes, base)) if stored else (lambda part: _regrown_counts(part, codes, ancestors(part, base)))
+    got = _in_chunks(log, grown, way, chunk)
     out |= dict(zip([c.pid for c in grown], got, strict=True))
     full = [c for c in plain if c not in union] if union else plain
     counted = count_trees(log, [c.tree for c in full], codes, "search" if mode == "search" else "scan", chunk)

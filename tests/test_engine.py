@@ -12,7 +12,7 @@ from motifspark.functions.register import register
 from motifspark.operators import kernel, log as L, mine, post, relations as R
 from motifspark.operators.search import align_search, align_trace
 from motifspark.plans.language import is_leftmost, is_subsequence, same_language, shadow_of_word, tail, words
-from motifspark.plans.lattice import all_trees, atomic_patterns, combinable, combine, construction_tree, next_level, regular_seeds
+from motifspark.plans.lattice import Candidate, all_trees, atomic_patterns, combinable, combine, construction_tree, next_level, regular_seeds
 from motifspark.plans.seeds import is_loop_seed, is_seed, loop_seeds, seed_closure, seed_kinds
 from motifspark.plans.tree import alt, canonical_word, leaf, loop, loop_block, nest, node, par, parse_tree, same_syntax, seq
 from motifspark.sources import files, views as V
@@ -236,3 +236,27 @@ def test_imports_stay_apart():
 
 def test_alt_is_a_choice():
     assert str(alt("a", "b")) == "xor(a,b)"
+
+
+def test_regrown_and_stored_places_agree(spark, monkeypatch):
+    rng = random.Random(3)
+    log = Q.literal_log(spark, {str(i): " ".join(rng.choice("abcd") for _ in range(rng.randrange(0, 16))) for i in range(80)})
+    kinds = {p: mine.mine_patterns(log, 0.4, max_depth=3, choices=False, places=p) for p in ("regrown", "stored")}
+    scan = mine.mine_patterns(log, 0.4, max_depth=3, choices=False, mode="scan")
+    assert kinds["regrown"].frequent == kinds["stored"].frequent == scan.frequent and len(scan.frequent) > 50
+    work = [[(c["reused"], c["realigned"]) for c in k.counters] for k in kinds.values()]
+    assert work[0] == work[1]
+
+
+def test_places_beyond_their_room_are_grown_again():
+    rng = random.Random(5)
+    codes = {a: i for i, a in enumerate("abc")}
+    tr = coded([[rng.choice("abc") for _ in range(10)] for _ in range(50)])
+    known = {}
+    for c in (Candidate(t, (), t.left.label, t.right.label) for t in atomic_patterns(codes)):
+        known[c.pid] = c
+    wide, narrow = mine.Places(tr, known), mine.Places(tr, known, room=0)
+    for pid in [*known, *reversed(list(known))]:
+        for s, p in wide[pid].items():
+            assert (narrow[pid][s] == p).all()
+    assert len(narrow._held) == 2 < len(wide._held)
