@@ -3,11 +3,12 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifspark.llm import decontam, langid, packing, secrets, simhash
+from motifspark.llm import decontam, langid, neardup, packing, secrets, simhash
 from motifspark.llm.common import durable, read_table, shared_folder, sized_broadcast
 
 #: Bound on a table of ids that a stage broadcasts.
@@ -20,13 +21,13 @@ def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     return langid.annotate(docs, model).where("not rejected").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
-def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str, grouped: Callable[[DataFrame], DataFrame] = simhash.near_duplicates) -> DataFrame:
     """One row of each group of near duplicates: the least doc_id, and one row of those that repeat it.
 
     Rows without a doc_id cannot be told apart and stay. The ids that go are broadcast below a bound, so that texts are
     shuffled only where repeats are many.
     """
-    groups = durable(simhash.near_duplicates(docs).where("doc_id is not null"))
+    groups = durable(grouped(docs).where("doc_id is not null"))
     gone = _sized(groups.where("doc_id <> component_id").select("doc_id").distinct())
     kept = docs.join(gone, "doc_id", "left_anti")
     twice = durable(groups.groupBy("doc_id").count().where("count > 1").select("doc_id"))
@@ -36,6 +37,11 @@ def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group linked by sets of five-word shingles whose Jaccard similarity is 0.8 or more."""
+    return keep_one_of_each_group(spark, docs, sf_dir, neardup.similar_groups)
+
+
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents of which less than a twentieth of the words are benchmark passages, each judged by its own text."""
     found = decontam.decontaminate(docs, read_table(spark, sf_dir, "benchmark"), keep_key=True).where("contaminated")
@@ -59,7 +65,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [
     ("language_id", keep_identified),
-    ("near_dedup", keep_one_of_each_group),
+    ("near_dedup", drop_near_copies),
     ("decontamination", drop_contaminated),
     ("secret_scan", redact_secrets),
     ("packing", pack),

@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from motifspark.llm import chat, components, decontam, html, langid, packing, pii, quality, secrets, simhash, warc
+from motifspark.llm import chat, components, decontam, html, langid, neardup, packing, pii, quality, secrets, simhash, warc
 
 SF = "/root/testdata/sf0.001"
 LOW = {c: c + 32 for c in range(65, 91)}
@@ -96,6 +96,37 @@ def test_components_of_a_long_path(spark):
     assert got == {i: 0 for i in range(201)} | {900: 900, 901: 900}
 
 
+def test_near_copies_by_exact_similarity(spark):
+    rng = random.Random(5)
+    base = [" ".join(rng.choice("abcdefghij") + str(rng.randrange(300)) for _ in range(rng.randrange(3, 200))) for _ in range(9)]
+    texts = [None, "", "one word", "ONE  word", *base]
+    for t in base:
+        for k in range(40):
+            w = t.split()
+            for _ in range(k % 7 + k // 20):
+                w[rng.randrange(len(w))] = f"new{rng.randrange(9999)}"
+            texts.append(" ".join(w))
+    sets = []
+    for t in texts:
+        w = (t or "").lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    root = list(range(len(texts)))
+    pairs = [(i, j) for i in range(len(texts)) for j in range(i) if sets[i] == sets[j] or 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])]
+    for _ in range(30):
+        for i, j in pairs:
+            root[i] = root[j] = min(root[i], root[j])
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    got = {r["doc_id"]: r["component_id"] for r in neardup.similar_groups(docs).collect()}
+    assert got == dict(enumerate(root)) and len(set(root)) < len(texts) - 50
+    kept = dict(corpus_pipeline.STAGES)["near_dedup"](spark, docs, SF)
+    assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(root))
+    own = neardup.shingle_sets(docs, "doc_id", "text", 5).dropDuplicates(["key"]).localCheckpoint()
+    ways = [(2, 10), (32, 0), (10_000, 200_000)]
+    comps = [{(r["node"], r["root"]) for r in components.connected_components(neardup.similar_edges(own, small, n)).collect()} for small, n in ways]
+    assert comps[0] == comps[1] == comps[2]
+    assert neardup.similar_groups(docs.limit(0)).count() == 0
+
+
 def brute_quality(t):
     w = re.findall(r"[^\x20\x09-\x0D]+", t or "")
     lines = [x for x in (t or "").split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
