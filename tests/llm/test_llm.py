@@ -275,6 +275,15 @@ def test_random_tokens_are_found_and_names_are_not(spark):
     assert masked == "see [SECRET] here"
 
 
+def test_tokens_after_an_equals_sign_are_found(spark):
+    hidden, key = "Zx9Kq2LmP0vTr8WsYb3NcDf6Gh1J", "q7RkT2vXz9LmB4nHs8JdW1pYc6GfA3eUo5iNtKxV"
+    texts = [f"auth={hidden}", f"CREDENTIAL={hidden}", f"https://h.x/y?sig={hidden}&b=1", f"AccountKey={hidden}==", f"AWS_SECRET_ACCESS_KEY={key}", f"x=={hidden}=== y", f"{hidden}=1"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["text"] for r in secrets.redact(docs).collect()}
+    want = ["auth=#", "CREDENTIAL=#", "https://h.x/y?sig=#&b=1", "AccountKey=#", "AWS_SECRET_ACCESS_KEY=#", "x==#=== y", "#=1"]
+    assert got == {i: t.replace("#", "[SECRET]") for i, t in enumerate(want)}
+
+
 def brute_contamination(text, windows):
     w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (text or "").translate(LOW))
     cover, items = set(), set()
