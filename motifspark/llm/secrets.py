@@ -93,8 +93,8 @@ def find_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     own = docs.select(F.struct("*").alias("row"), text_or_empty(F.col(text_col)).alias("t"))
     base = [_located("t", rx, g, least, kind, i) for i, (kind, rx, g, least) in enumerate(BASE_KINDS)]
     own = own.withColumn("base", F.array_sort(F.concat(*base)))
-    own = own.withColumn("cand", F.when(F.col("t").rlike("[0-9]"), _located("t", TOKEN, 0, 20, "random", len(BASE_KINDS))).otherwise(F.lit(None)))
-    apart = "filter(cand, c -> not exists(base, b -> b.s < c.e and c.s < b.e) and substring(t, c.s + 1, c.e - c.s) rlike '[0-9]' and substring(t, c.s + 1, c.e - c.s) rlike '[A-Za-z]')"
+    own = own.withColumn("cand", _located("t", TOKEN, 0, 20, "random", len(BASE_KINDS)))
+    apart = "filter(cand, c -> not exists(base, b -> b.s < c.e and c.s < b.e))"
     own = own.withColumn("cand", F.expr(f"case when size(cand) > 0 then {apart} end"))
     tested = f"transform(cand, c -> struct({_randomness("rtrim('=', substring(t, c.s + 1, c.e - c.s))")} as r, c as c))"
     own = own.withColumn("cand", F.expr(f"case when size(cand) > 0 then {tested} end"))

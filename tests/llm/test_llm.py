@@ -284,6 +284,17 @@ def test_tokens_after_an_equals_sign_are_found(spark):
     assert got == {i: t.replace("#", "[SECRET]") for i, t in enumerate(want)}
 
 
+def test_random_tokens_without_digits_are_found(spark):
+    rng = random.Random(4)
+    lower = "abcdefghijklmnopqrstuvwxyz"
+    good = ["".join(rng.choice(abc) for _ in range(40)) for abc in (lower, lower.upper(), lower + lower.upper()) for _ in range(30)]
+    plain = ["internationalization", "Donaudampfschifffahrtsgesellschaft", "getUserAccountSettingsPageTitle", "src/main/java/com/example/service", "some-long-hyphenated-name-here", "12345678901234567890", "-" * 40, "_" * 20]
+    docs = spark.createDataFrame([(i, f"see {x} here") for i, x in enumerate(good + plain)], "doc_id long, text string")
+    got = {r["doc_id"]: r["spans"] for r in secrets.secret_report(docs).collect()}
+    assert sum(bool(got[i]) for i in range(len(good))) >= 0.9 * len(good)
+    assert [x for i, x in enumerate(plain, len(good)) if got[i]] == []
+
+
 def brute_contamination(text, windows):
     w = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (text or "").translate(LOW))
     cover, items = set(), set()
