@@ -9,6 +9,7 @@ from __future__ import annotations
 import base64
 import functools
 import heapq
+import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -21,6 +22,9 @@ from pyspark.sql import functions as F
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, cost double"
 
+#: White-space characters in a row that ``tiktoken`` is given at most; 700,000 are known to work.
+LONGEST_BLANK = 100_000
+
 
 @dataclass(frozen=True)
 class PackingSpec:
@@ -39,7 +43,7 @@ class PackingSpec:
 
 @functools.cache
 def encoder(ranks: str | None, pattern: str | None):
-    """Byte-level BPE with the ids of the public vocabulary; strings of special tokens are ordinary text."""
+    """Byte-level BPE with the ids of the public vocabulary, for texts that ``special_reader`` does not take."""
     import tiktoken
 
     if ranks is None or pattern is None:
@@ -52,6 +56,31 @@ def encoder(ranks: str | None, pattern: str | None):
     return tiktoken.Encoding("bpe", pat_str=pattern, mergeable_ranks=table, special_tokens={})
 
 
+@functools.cache
+def special_reader():
+    """The public tokenizer itself, and the pattern of its added tokens."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    added = [t.content for t in tok.get_added_tokens_decoder().values()]
+    return tok, re.compile("|".join(map(re.escape, added)) or r"(?!)")
+
+
+def encode(text: str, spec: PackingSpec) -> list[int]:
+    """Token ids of a text as the public tokenizer gives them.
+
+    ``tiktoken`` is the faster, but it knows no added token and panics on white-space runs of about a million
+    characters; texts with either go to the public tokenizer. With ranks or a pattern of the caller's own there is none.
+    """
+    if spec.ranks is None and spec.pattern is None:
+        tok, added = special_reader()
+        blank = len(text) > LONGEST_BLANK and any(m.end() - m.start() > LONGEST_BLANK for m in re.finditer(r"\s+", text))
+        if blank or added.search(text):
+            return tok.encode(text, add_special_tokens=False).ids
+    return encoder(spec.ranks, spec.pattern).encode_ordinary(text)
+
+
 def assign(lengths: list[int], capacities: list[int], spec: PackingSpec) -> tuple[list[list[tuple[int, int, int]]], list[tuple[int, int]]]:
     """Place pieces into sequences of given capacities; pieces and parts are ``(piece, from, tokens)``.
 
@@ -145,12 +174,10 @@ def pack_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     spec = spec or PackingSpec()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(spec.ranks, spec.pattern)
         packer = _Packer(spec, TaskContext.get().partitionId() << 32)
         for b in batches:
             for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = enc.encode_ordinary(text.as_py() or "")
-                ids.append(spec.end_id)
+                ids = [*encode(text.as_py() or "", spec), spec.end_id]
                 packer.add(doc, np.array(ids, dtype="<u4"))
                 if len(packer.rows) > 20_000:
                     yield packer.flush()

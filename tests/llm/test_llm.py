@@ -198,6 +198,17 @@ def test_packing_covers_every_token_once(docs, odd, spark):
         assert report["n_padding"] == 0
 
 
+@pytest.mark.parametrize("text", ["a <|endoftext|> b", "x" + " " * 2_000_000 + "y", "\n" * 2_000_000], ids=["added", "spaces", "newlines"])
+def test_packing_of_added_tokens_and_long_white_space(spark, text):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    ids = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")).encode(text, add_special_tokens=False).ids + [0]
+    got = sorted((p["start"], p["length"], p["ids_crc32"]) for p in packing.pack_documents(spark.createDataFrame([(1, text)], "doc_id long, text string")).collect())
+    assert sum(n for _, n, _ in got) == len(ids)
+    assert all(zlib.crc32(b"".join(i.to_bytes(4, "little") for i in ids[a : a + n])) == c for a, n, c in got)
+
+
 def test_assign_balances_cost():
     placed, left = packing.assign([900, 600, 500, 400, 300, 300], [1024] * 3, packing.PackingSpec())
     assert not left and sum(n for s in placed for _, _, n in s) == 3000
