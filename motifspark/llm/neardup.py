@@ -63,9 +63,15 @@ def prefixes(sets: DataFrame, frequent: int = FREQUENT) -> DataFrame:
     """``(h, row, n, r)``: the shingles of each set at which sets of the similarity must meet, rarest first.
 
     ``r`` counts the shingles from there to the end of the set: two sets that first meet there share no more than the
-    lesser of the two counts.
+    lesser of the two counts. Frequencies are of shingles that repeat within a batch, which is enough for an order.
     """
-    counts = sets.select(F.explode("sh").alias("h")).groupBy("h").agg(F.count("*").alias("c")).where("c > 4")
+
+    def repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            h, c = np.unique(b.column(0).flatten().to_numpy(zero_copy_only=False), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(h[c > 1]), pa.array(c[c > 1].astype(np.int64))], ["h", "c"])
+
+    counts = sets.select("sh").mapInArrow(repeated, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).where("c > 4")
     top = counts.orderBy(F.desc("c"), "h").limit(frequent).toPandas().sort_values("h")
     known = sets.sparkSession.sparkContext.broadcast((top.h.to_numpy(np.int64), top.c.to_numpy(np.int64)))
     num, den = SIMILARITY
@@ -109,8 +115,7 @@ def similar_edges(sets: DataFrame, small: int = 32, frequent: int = FREQUENT) ->
     """
     num, den = SIMILARITY
     placed = durable(prefixes(sets, frequent))
-    sizes = placed.groupBy("h").agg(F.count("*").alias("m"), F.min(F.struct(F.xxhash64("h", "row"), "row", "n", "r")).alias("p")).where("m > 1")
-    members = durable(placed.join(sizes, "h").select("h", "row", "n", "r", "m", "p"))
+    members = durable(placed.join(placed.groupBy("h").agg(F.count("*").alias("m")).where("m > 1"), "h"))
     near = lambda x, y: f"{num + den} * least({x}r, {y}r) >= {num} * ({x}n + {y}n)"
 
     few = members.where(F.col("m") <= small).groupBy("h").agg(F.sort_array(F.collect_list(F.struct("row", "n", "r"))).alias("f"))
@@ -119,6 +124,7 @@ def similar_edges(sets: DataFrame, small: int = 32, frequent: int = FREQUENT) ->
             y -> {near("x.", "y.")}), y -> struct(y.row as u, x.row as v))))"""
     )
     many = members.where(F.col("m") > small)
+    many = many.join(many.groupBy("h").agg(F.min(F.struct(F.xxhash64("h", "row"), "row", "n", "r")).alias("p")), "h")
     stars = many.where("row <> p.row").where(near("", "p.")).select(F.greatest("row", "p.row").alias("u"), F.least("row", "p.row").alias("v"))
     edges = _similar(few.select(F.inline(pairs)).union(stars), sets)
     if many.isEmpty():
