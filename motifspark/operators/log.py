@@ -2,32 +2,12 @@
 
 from __future__ import annotations
 
-import functools
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-LOG = "case_id string, acts array<string>, n int, weight bigint"
-
-
-@functools.cache
-def _local_folder() -> str:
-    return "file://" + tempfile.mkdtemp(prefix="motifspark-")
+from motifspark.sources.shared import durable as store  # noqa: F401
 
-
-def store(df: DataFrame) -> DataFrame:
-    """Write a table once in the shared folder named by ``spark.checkpoint.dir`` and read it back.
-
-    Levels of the miner are cut here, so plans stay short and a lost executor costs a reread. Without the setting
-    (tests on one machine) a temporary folder is used.
-    """
-    spark = df.sparkSession
-    root = spark.conf.get("spark.checkpoint.dir", None) or _local_folder()
-    path = f"{root.rstrip('/')}/motifspark-{spark.sparkContext.applicationId}/{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+LOG = "case_id string, acts array<string>, n int, weight bigint"
 
 
 def build_log(events: DataFrame, case: list[Column | str], order: list[Column | str], activity: Column | str) -> DataFrame:

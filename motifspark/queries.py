@@ -18,6 +18,7 @@ from motifspark.plans.lattice import all_trees, regular_seeds
 from motifspark.plans.seeds import is_seed
 from motifspark.plans.tree import Tree, parse_tree
 from motifspark.sources import views as V
+from motifspark.sources.shared import shared_folder
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -667,8 +668,7 @@ def stream_support_events(s: SparkSession, d: str) -> DataFrame:
 def _drained(s: SparkSession, flags: DataFrame) -> DataFrame:
     """Run the stream over all files that are there, and count hits by window."""
     name = f"stream_{uuid.uuid4().hex}"
-    root = s.conf.get("spark.checkpoint.dir", None) or L._local_folder()
-    run = flags.writeStream.outputMode("update").format("memory").queryName(name).option("checkpointLocation", f"{root.rstrip('/')}/{name}")
+    run = flags.writeStream.outputMode("update").format("memory").queryName(name).option("checkpointLocation", f"{shared_folder(s)}/{name}")
     run.trigger(availableNow=True).start().awaitTermination()
     sums = [F.sum(F.col(f"hit{i}").cast("long")).alias(f"n{i}") for i in range(len(STREAM_TREES))]
     by = s.table(name).groupBy((F.unix_timestamp("window_start") / 259200).cast("long").alias("window_no")).agg(F.count("*").alias("n_cases"), *sums)
