@@ -2,45 +2,17 @@
 
 from __future__ import annotations
 
-import functools
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from motifspark.sources.shared import durable, new_folder  # noqa: F401
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_folder(spark: SparkSession) -> str:
-    """Folder for intermediate tables: the one that the session names in ``spark.checkpoint.dir``.
-
-    Only where none is named (tests, one machine) a temporary folder of the driver is taken.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        held = spark.sparkContext._jsc.sc().getCheckpointDir()
-        named = held.get() if held.isDefined() else _local_folder()
-    return f"{named.rstrip('/')}/motifspark-{spark.sparkContext.applicationId}"
-
-
-@functools.cache
-def _local_folder() -> str:
-    return "file://" + tempfile.mkdtemp(prefix="motifspark-")
-
-
-def durable(df: DataFrame) -> DataFrame:
-    """Write ``df`` once as a Parquet table in the shared folder and read it back.
-
-    This cuts the lineage: a lost executor costs a reread of its splits, and no user function runs twice.
-    """
-    path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def ascii_lower(c: Column) -> Column:
     """Lower-case A-Z only; the built-in ``lower`` is used where the text is pure ASCII."""
     slow = F.translate(c, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -51,9 +23,29 @@ def text_or_empty(c: Column) -> Column:
     return F.coalesce(c.cast("string"), F.lit(""))
 
 
-def sized_broadcast(df: DataFrame, bytes_per_row: int, limit_bytes: int) -> DataFrame:
-    """Mark a materialised table for broadcast if its counted rows stay within the limit."""
-    return F.broadcast(df) if df.count() * bytes_per_row <= limit_bytes else df
+def _bytes_of(c: Column, kind: T.DataType) -> Column:
+    """Bytes that a value takes as a row in memory, at least."""
+    if isinstance(kind, (T.StringType, T.BinaryType)):
+        return F.coalesce(F.octet_length(c), F.lit(0)) + 24
+    if isinstance(kind, T.ArrayType):
+        each = F.transform(c, lambda x: _bytes_of(x, kind.elementType).cast("long"))
+        return F.coalesce(F.aggregate(each, F.lit(0).cast("long"), lambda a, x: a + x), F.lit(0)) + 32
+    if isinstance(kind, T.StructType):
+        return sum((_bytes_of(c[f.name], f.dataType) for f in kind), F.lit(16))
+    if isinstance(kind, T.MapType):
+        return _bytes_of(F.map_keys(c), T.ArrayType(kind.keyType)) + _bytes_of(F.map_values(c), T.ArrayType(kind.valueType))
+    return F.lit(8)
+
+
+def measured_bytes(df: DataFrame) -> int:
+    """Size of a table as rows in memory, summed over its values."""
+    row = sum((_bytes_of(F.col(f"`{f.name}`"), f.dataType) for f in df.schema), F.lit(16))
+    return df.agg(F.coalesce(F.sum(row.cast("long")), F.lit(0))).first()[0]
+
+
+def sized_broadcast(df: DataFrame, limit_bytes: int) -> DataFrame:
+    """Mark a materialised table for broadcast if its measured size stays within the limit."""
+    return F.broadcast(df) if measured_bytes(df) <= limit_bytes else df
 
 
 def sealed(df: DataFrame, keep: list, made: dict[str, Column]) -> DataFrame:

@@ -92,12 +92,12 @@ def decontaminate(
             F.sha2(F.lit(""), 256).alias("items_sha256"), none.alias("items"), F.lit(False).alias("contaminated"),
         )
 
-    keys = sized_broadcast(durable(parts.select("s", "key").distinct()), 64, broadcast_bytes)
+    keys = sized_broadcast(durable(parts.select("s", "key").distinct()), broadcast_bytes)
     freq = durable(_places(own, lengths).drop("w").join(keys, ["s", "key"]).groupBy("s", "key").agg(F.count("*").alias("freq")))
     rated = parts.join(freq, ["s", "key"], "left").withColumn("freq", F.coalesce("freq", F.lit(0)))
     rare = rated.groupBy("item_id", "win", "len", "s").agg(F.min(F.struct("freq", "key", "off")).alias("r"))
     prefix = durable(rare.where("r.freq > 0").select("item_id", "win", "len", "s", "r.key", "r.off"))
-    prefix = sized_broadcast(prefix, 1024, broadcast_bytes)
+    prefix = sized_broadcast(prefix, broadcast_bytes)
 
     inside = F.expr("at >= off and at - off + len <= size(w)")
     same = F.expr("slice(w, at - off + 1, len) = win")

@@ -16,12 +16,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, sized_broadcast
 from .components import connected_components
 
 SEED = 42
 BITS = 64
 CHUNK = 1 << 15
+#: Bound on the table of fingerprints with a component other than their row's own that is broadcast.
+BROADCAST_BYTES = 32 << 20
 
 
 def fingerprint_bytes(text: bytes, shingle: int = 3) -> int:
@@ -110,10 +112,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     an empty result. Exact copies meet in one group before anything is paired, so hot groups cost one aggregate.
     """
     prints = durable(fingerprints(docs, id_col, text_col, shingle))
-    classes = durable(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")))
+    classes = durable(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("m")))
     comp = connected_components(near_edges(classes.select("fp"), radius))
     linked = classes.join(comp.withColumnRenamed("node", "fp"), "fp")
     least = linked.groupBy("root").agg(F.min("first_id").alias("least_id"))
     moved = linked.join(least, "root").select("fp", "least_id")
-    ids = classes.join(moved, "fp", "left").select("fp", F.coalesce("least_id", "first_id").alias("component_id"))
-    return prints.join(ids, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    # rows that stand for themselves need no lookup, so only copies and linked fingerprints travel, by broadcast in bounds
+    ids = classes.join(moved, "fp", "left").where("m > 1 or least_id < first_id").select("fp", F.coalesce("least_id", "first_id").alias("group_id"))
+    looked = prints.join(sized_broadcast(durable(ids), BROADCAST_BYTES), "fp", "left")
+    return looked.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.coalesce("group_id", "doc_id").alias("component_id"))

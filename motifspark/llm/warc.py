@@ -11,7 +11,6 @@ from __future__ import annotations
 
 import base64
 import hashlib
-import uuid
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -21,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import durable, shared_folder, sized_broadcast
+from .common import durable, new_folder, sized_broadcast
 
 VERSION = b"WARC/1.1\r\n"
 END = "\r\n\r\n"
@@ -102,7 +101,7 @@ def write_archives(pages: DataFrame, path: str, spec: ArchiveSpec | None = None,
     own = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), payload.alias("payload"))
     own = own.withColumn("d", F.when(F.octet_length("payload") >= spec.min_bytes, F.sha1("payload")))
     firsts = own.where("d is not null and page_id is not null").groupBy("d").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
-    firsts = sized_broadcast(durable(firsts.where("n > 1").drop("n")), 128, spec.broadcast_bytes)
+    firsts = sized_broadcast(durable(firsts.where("n > 1").drop("n")), spec.broadcast_bytes)
     joined = own.join(firsts, "d", "left").select("page_id", "url", "payload", "first_id")
     size = own.agg(F.avg(F.octet_length("payload"))).first()[0] or 0.0
 
@@ -228,6 +227,6 @@ def read_pages(spark: SparkSession, path: str) -> DataFrame:
 def round_trip(pages: DataFrame, spec: ArchiveSpec | None = None, path: str | None = None) -> DataFrame:
     """Write ``pages`` as archives in the shared folder and read them back, one row per page."""
     spark = pages.sparkSession
-    path = path or f"{shared_folder(spark)}/warc-{uuid.uuid4().hex}"
+    path = path or new_folder(spark, "warc-")
     write_archives(pages, path, spec)
     return read_pages(spark, path)
