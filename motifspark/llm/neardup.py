@@ -1,8 +1,10 @@
-"""Near duplicates by exact Jaccard similarity of word shingle sets, without comparing all pairs.
+"""Near copies: SimHash links with covering masks, checked and completed by the exact similarity of shingle sets.
 
-In any one order of the shingles, two sets of similarity t or more share a shingle among the first
-``n - ceil(t * n) + 1`` of each, n being its own size; so candidates that meet at such a shingle lose no pair. Rare
-shingles come first in the order, which keeps the meeting places small. Every candidate is checked on the whole sets.
+Fingerprints within the covering radius give the first candidates. Texts of similarity 0.8 differ in some ten of 64
+bits, beyond any radius whose ``2**(r+1) - 1`` masks could be afforded, so the links that covering cannot see come from
+shingles: in any one order of the shingles, two sets of similarity t or more share one among the first
+``n - ceil(t * n) + 1`` of each, n being its own size. Frequent shingles come last in the order, which keeps the
+meeting places small. Every candidate, of either origin, is checked on the whole sets.
 """
 
 from __future__ import annotations
@@ -12,19 +14,22 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, sized_broadcast
+from .common import durable, measured_bytes, sized_broadcast
 from .components import connected_components
-from .simhash import SEED
+from .simhash import SEED, near_edges
 
 #: Similarity as a fraction, so that all comparisons are of whole numbers.
 SIMILARITY = (4, 5)
 #: Bound on the frequent shingles that a task knows by count; others count as rare. It changes the order, not the result.
 FREQUENT = 200_000
 BROADCAST_BYTES = 32 << 20
+#: Bytes of text that are turned into sets at a time.
+WINDOW = 4 << 20
+
+PRINTS = "doc_id long, tk long, key long, n int, fp long, h long, c long"
 
 
 def shingle_set(text: bytes, shingle: int = 5) -> np.ndarray:
@@ -40,116 +45,181 @@ def shingle_set(text: bytes, shingle: int = 5) -> np.ndarray:
     return np.unique(np.fromiter((xxhash.xxh64_intdigest(joined[a:b], SEED) for a, b in pairs), np.uint64, len(words) - last).view(np.int64))
 
 
-def shingle_sets(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFrame:
-    """``(row, doc_id, key, n, sh)``: a number of the row, the hash of its set, its size, and the set."""
+def set_key(s: np.ndarray) -> int:
+    return int(np.uint64(xxhash.xxh3_64_intdigest(s.tobytes(), SEED)).view(np.int64))
+
+
+def set_fingerprint(s: np.ndarray, chunk: int = 1 << 15) -> int:
+    """SimHash of a set of shingle hashes as a signed number; zero for the empty set."""
+    votes = np.zeros(64, np.int64)
+    for at in range(0, len(s), chunk):
+        votes += np.unpackbits(s[at : at + chunk].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(np.packbits(2 * votes > len(s), bitorder="little").view("<i8")[0])
+
+
+def _windows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
+    """Slices of the batches with their texts (last column), of bounded size each."""
+    for b in batches:
+        at, held, texts = 0, 0, []
+        for i, t in enumerate(b.column(b.num_columns - 1)):
+            texts.append(t.as_buffer().to_pybytes() if t.is_valid else b"")
+            held += len(texts[-1])
+            if held > WINDOW:
+                yield b.slice(at, i + 1 - at), texts
+                at, held, texts = i + 1, 0, []
+        if texts:
+            yield b.slice(at), texts
+
+
+def _batch(cols: list, names: str) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c) if not isinstance(c, pa.Array) else c for c in cols], [x.split()[0] for x in names.split(", ")])
+
+
+def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    t = F.col(text_col).cast("string")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(t).alias("tk"), t.cast("binary").alias("t"))
+
+
+def set_prints(docs: DataFrame, shingle: int) -> DataFrame:
+    """One row of ``doc_id, tk, key, n, fp`` for each text: hash of the text, hash, size and fingerprint of its set. Rows
+    with ``h, c`` instead tell shingles that repeat within a window and how often, which is enough for an order."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        row = TaskContext.get().partitionId() << 33
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                b = batch.slice(at, 1000)
-                sets = [shingle_set(t.as_buffer().to_pybytes() if t.is_valid else b"", shingle) for t in b.column(1)]
-                n = np.array([len(x) for x in sets], np.int64)
-                key = np.array([xxhash.xxh3_64_intdigest(x.tobytes(), SEED) for x in sets], np.uint64).view(np.int64)
-                sh = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))), pa.int32()), pa.array(np.concatenate(sets)))
-                yield pa.RecordBatch.from_arrays([pa.array(np.arange(row, row + len(sets))), b.column(0), pa.array(key), pa.array(n), sh], ["row", "doc_id", "key", "n", "sh"])
-                row += len(sets)
+        for b, texts in _windows(batches):
+            sets = [shingle_set(t, shingle) for t in texts]
+            h, c = np.unique(np.concatenate(sets), return_counts=True)
+            h, c = h[c > 1], c[c > 1].astype(np.int64)
+            k, none = len(sets), np.zeros(len(h), np.int64)
+            empty = pa.nulls(k, pa.int64())
+            own = [np.array([f(s) for s in sets], t) for f, t in ((set_key, np.int64), (len, np.int32), (set_fingerprint, np.int64))]
+            yield _batch([b.column(0), b.column(1), *own, empty, empty], PRINTS)
+            if len(h):
+                gone = pa.nulls(len(h), pa.int64())
+                yield _batch([gone, gone, gone, none.astype(np.int32), gone, h, c], PRINTS)
 
-    src = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").cast("binary").alias("t"))
-    return src.mapInArrow(run, "row long, doc_id long, key long, n long, sh array<long>")
+    return docs.mapInArrow(run, PRINTS)
 
 
-def prefixes(sets: DataFrame, frequent: int = FREQUENT) -> DataFrame:
-    """``(h, row, n, r)``: the shingles of each set at which sets of the similarity must meet, rarest first.
+PLACED = "h long, key long, n int, r int"
 
-    ``r`` counts the shingles from there to the end of the set: two sets that first meet there share no more than the
-    lesser of the two counts. Frequencies are of shingles that repeat within a batch, which is enough for an order.
-    """
 
-    def repeated(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            h, c = np.unique(b.column(0).flatten().to_numpy(zero_copy_only=False), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(h[c > 1]), pa.array(c[c > 1].astype(np.int64))], ["h", "c"])
+def prefixes(docs: DataFrame, shingle: int, counts: DataFrame, frequent: int = FREQUENT) -> DataFrame:
+    """``(h, key, n, r)``: the shingles of each set at which sets of the similarity must meet, rarest first.
 
-    counts = sets.select("sh").mapInArrow(repeated, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).where("c > 4")
+    ``r`` counts the shingles from there to the end of the set: two sets that first meet there share no more than the
+    lesser of the two counts.
+    """
     top = counts.orderBy(F.desc("c"), "h").limit(frequent).toPandas().sort_values("h")
-    known = sets.sparkSession.sparkContext.broadcast((top.h.to_numpy(np.int64), top.c.to_numpy(np.int64)))
+    known = docs.sparkSession.sparkContext.broadcast((top.h.to_numpy(np.int64), top.c.to_numpy(np.int64)))
     num, den = SIMILARITY
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hs, cs = known.value
-        for b in batches:
+        for _, texts in _windows(batches):
             out = [], [], [], []
-            for row, sh in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                h = sh.values.to_numpy(zero_copy_only=False)
+            for text in texts:
+                h = shingle_set(text, shingle)
+                if not len(h):
+                    continue
                 c = np.zeros(len(h), np.int64)
-                if len(hs) and len(h):
+                if len(hs):
                     at = np.minimum(np.searchsorted(hs, h), len(hs) - 1)
                     c = np.where(hs[at] == h, cs[at], 0)
-                first = len(h) - -(-num * len(h) // den) + 1 if len(h) else 0
+                first = len(h) - -(-num * len(h) // den) + 1
                 out[0].append(h[np.lexsort((h, c))[:first]])
-                out[1].append(np.full(first, row, np.int64))
-                out[2].append(np.full(first, len(h), np.int64))
-                out[3].append(len(h) - np.arange(first))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x) if x else np.zeros(0, np.int64)) for x in out], ["h", "row", "n", "r"])
+                out[1].append(np.full(first, set_key(h), np.int64))
+                out[2].append(np.full(first, len(h), np.int32))
+                out[3].append((len(h) - np.arange(first)).astype(np.int32))
+            if out[0]:
+                yield _batch([np.concatenate(x) for x in out], PLACED)
 
-    return sets.select("row", "sh").mapInArrow(run, "h long, row long, n long, r long")
+    return docs.mapInArrow(run, PLACED)
 
 
-def _similar(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """The pairs ``(u, v)`` of rows whose sets are of the similarity; only sets of some pair are moved."""
+def _similar(pairs: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int) -> DataFrame:
+    """The pairs ``(u, v)`` of set keys whose sets are of the similarity. Sets are made again for texts of some pair only."""
     num, den = SIMILARITY
     pairs = durable(pairs.distinct())
-    rows = durable(pairs.select(F.col("u").alias("row")).union(pairs.select("v")).distinct())
-    own = durable(sets.join(sized_broadcast(rows, 64, BROADCAST_BYTES), "row", "left_semi").select("row", "n", "sh"))
-    a, b = (own.select(F.col("row").alias(x), F.col("n").alias(f"n{x}"), F.col("sh").alias(f"s{x}")) for x in "uv")
-    both = pairs.join(a, "u").join(b, "v").withColumn("i", F.size(F.array_intersect("su", "sv")))
+    keys = pairs.select(F.col("u").alias("key")).union(pairs.select("v")).distinct()
+    wanted = durable(classes.join(keys, "key").select(F.col("first_id").alias("i"), F.col("first_tk").alias("k")))
+    named = docs.join(sized_broadcast(wanted, BROADCAST_BYTES), docs.doc_id.eqNullSafe(F.col("i")) & (docs.tk == F.col("k")), "left_semi")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, texts in _windows(batches):
+            sets = [shingle_set(t, shingle) for t in texts]
+            n = np.array([len(s) for s in sets], np.int64)
+            sh = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(n))), pa.int32()), pa.array(np.concatenate(sets)))
+            yield _batch([np.array([set_key(s) for s in sets], np.int64), n.astype(np.int32), sh], "key, n, sh")
+
+    sets = durable(named.mapInArrow(run, "key long, n int, sh array<long>").dropDuplicates(["key"]))
+    a, b = (sets.select(F.col("key").alias(x), F.col("n").alias(f"n{x}"), F.col("sh").alias(f"s{x}")) for x in "uv")
+    sizes = classes.select("key", "n")
+    lengths = pairs.join(sizes.withColumnsRenamed({"key": "u", "n": "nu"}), "u").join(sizes.withColumnsRenamed({"key": "v", "n": "nv"}), "v")
+    # of sets of this similarity the lesser is at least the fraction of the greater
+    able = lengths.where(f"{den} * least(nu, nv) >= {num} * greatest(nu, nv)").select("u", "v")
+    both = able.join(a, "u").join(b, "v").withColumn("i", F.size(F.array_intersect("su", "sv")))
     return durable(both.where(f"{num + den} * i >= {num} * (nu + nv)").select("u", "v"))
 
 
-def similar_edges(sets: DataFrame, small: int = 32, frequent: int = FREQUENT) -> DataFrame:
-    """Links ``(u, v)`` that join the rows of ``sets`` (distinct sets) exactly as all pairs of the similarity would.
+def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts: DataFrame, shingle: int, frequent: int = FREQUENT, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """Links ``(u, v)`` that join set keys exactly as all pairs of the similarity would.
 
-    Where more than ``small`` rows meet at a shingle, each is first compared with one of them; what these links join
-    need not be compared again, and only pairs of rows that are still apart follow.
+    First every set is compared with one other at each of its meeting places, and at its fingerprint and the
+    fingerprints linked with it; what these links join need not be compared again. Only pairs that meet somewhere and
+    are still apart follow.
     """
     num, den = SIMILARITY
-    placed = durable(prefixes(sets, frequent))
-    members = durable(placed.join(placed.groupBy("h").agg(F.count("*").alias("m")).where("m > 1"), "h"))
+    copies = classes.where("m > 1").select("key", "first_id", "first_tk")
+    again = prints.join(copies, "key").where("not (doc_id <=> first_id and tk = first_tk)")
+    again = durable(again.select(F.col("doc_id").alias("i"), F.col("tk").alias("k")).distinct())
+    own = docs
+    if measured_bytes(again) <= broadcast_bytes:  # else copies meet at equal keys, which no later step pairs
+        own = docs.join(F.broadcast(again), docs.doc_id.eqNullSafe(F.col("i")) & (docs.tk == F.col("k")), "left_anti")
+    placed = durable(prefixes(own, shingle, counts, frequent))
+    met = durable(placed.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h"))
+    members = durable(placed.join(sized_broadcast(met, broadcast_bytes), "h").distinct())
     near = lambda x, y: f"{num + den} * least({x}r, {y}r) >= {num} * ({x}n + {y}n)"
-
-    few = members.where(F.col("m") <= small).groupBy("h").agg(F.sort_array(F.collect_list(F.struct("row", "n", "r"))).alias("f"))
-    pairs = F.expr(
-        f"""flatten(transform(f, (x, i) -> transform(filter(slice(f, i + 2, size(f)),
-            y -> {near("x.", "y.")}), y -> struct(y.row as u, x.row as v))))"""
-    )
-    many = members.where(F.col("m") > small)
-    many = many.join(many.groupBy("h").agg(F.min(F.struct(F.xxhash64("h", "row"), "row", "n", "r")).alias("p")), "h")
-    stars = many.where("row <> p.row").where(near("", "p.")).select(F.greatest("row", "p.row").alias("u"), F.least("row", "p.row").alias("v"))
-    edges = _similar(few.select(F.inline(pairs)).union(stars), sets)
-    if many.isEmpty():
+    first = members.groupBy("h").agg(F.min(F.struct(F.xxhash64("h", "key"), "key", "n", "r")).alias("p"), F.count("*").alias("m")).where("m > 1")
+    stars = members.join(first, "h").where("key <> p.key").where(near("", "p.")).select(F.greatest("key", "p.key").alias("u"), F.least("key", "p.key").alias("v"))
+
+    by_print = classes.where("n > 0").groupBy("fp").agg(F.min("key").alias("rep"))
+    same = classes.where("n > 0").join(by_print, "fp").where("key <> rep").select(F.greatest("key", "rep").alias("u"), F.least("key", "rep").alias("v"))
+    links = near_edges(by_print.select("fp"))
+    a, b = by_print.withColumnsRenamed({"fp": "u", "rep": "ku"}), by_print.withColumnsRenamed({"fp": "v", "rep": "kv"})
+    covered = links.join(a, "u").join(b, "v").select(F.greatest("ku", "kv").alias("u"), F.least("ku", "kv").alias("v"))
+
+    edges = _similar(stars.union(same).union(covered), docs, classes, shingle)
+    comp = connected_components(edges).withColumnRenamed("node", "key")
+    rooted = members.join(comp, "key", "left").select("h", "key", "n", "r", F.coalesce("root", "key").alias("root"))
+    mixed = rooted.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("m")).where("lo < hi and m > 2").select("h")
+    apart = durable(rooted.join(mixed, "h", "left_semi"))
+    x, y = apart.alias("x"), apart.alias("y")
+    rest = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.key") > F.col("y.key")) & (F.col("x.root") != F.col("y.root")) & F.expr(near("x.", "y.")))
+    rest = durable(rest.select(F.col("x.key").alias("u"), F.col("y.key").alias("v")).distinct())
+    if rest.isEmpty():
         return edges
-    comp = connected_components(edges).withColumnRenamed("node", "row")
-    many = durable(many.join(comp, "row", "left").select("h", "row", "n", "r", F.coalesce("root", "row").alias("root")))
-    mixed = many.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("h")
-    many = many.join(mixed, "h", "left_semi")
-    x, y = many.alias("x"), many.alias("y")
-    apart = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.row") > F.col("y.row")) & (F.col("x.root") != F.col("y.root")) & F.expr(near("x.", "y.")))
-    return edges.union(_similar(apart.select(F.col("x.row").alias("u"), F.col("y.row").alias("v")), sets))
+    return edges.union(_similar(rest, docs, classes, shingle))
 
 
-def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5) -> DataFrame:
+def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, frequent: int = FREQUENT, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """``(doc_id, component_id)`` for every row: the least doc_id reachable over pairs of the similarity or more.
 
     Null, empty and wordless texts have the empty set and are copies of each other; rows with a null doc_id keep it
-    and join others through their text only; repeated rows stay repeated; an empty table gives an empty result.
+    and join others through their text only; repeated rows stay repeated; an empty table gives an empty result. Sets
+    are told apart by 64 bits of their hash.
     """
-    sets = durable(shingle_sets(docs, id_col, text_col, shingle))
-    classes = durable(sets.groupBy("key").agg(F.min("row").alias("node"), F.min("doc_id").alias("first_id"), F.count("*").alias("m")))
-    again = durable(sets.select("row", "key").join(classes.where("m > 1"), "key").where("row <> node").select("row"))
-    own = sets.join(sized_broadcast(again, 64, BROADCAST_BYTES), "row", "left_anti")
-    comp = connected_components(similar_edges(own))
-    linked = classes.join(comp, "node")
+    texts = _texts(docs, id_col, text_col)
+    made = durable(set_prints(texts, shingle))
+    prints = made.where("key is not null")
+    counts = made.where("h is not null").groupBy("h").agg(F.sum("c").alias("c")).where("c > 4")
+    one = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "tk"))
+    classes = prints.groupBy("key").agg(one.alias("o"), F.min("n").alias("n"), F.min("fp").alias("fp"), F.count("*").alias("m"))
+    classes = durable(classes.select("key", F.col("o.doc_id").alias("first_id"), F.col("o.tk").alias("first_tk"), "n", "fp", "m"))
+    comp = connected_components(similar_edges(texts, prints, classes, counts, shingle, frequent, broadcast_bytes))
+    linked = classes.join(comp, classes.key == comp.node)
     least = linked.groupBy("root").agg(F.min("first_id").alias("least_id"))
-    ids = classes.join(linked.join(least, "root").select("key", "least_id"), "key", "left")
-    return sets.select("doc_id", "key").join(ids.select("key", F.coalesce("least_id", "first_id").alias("component_id")), "key").select("doc_id", "component_id")
+    moved = linked.join(least, "root").where("least_id is not null and not least_id <=> first_id").select("key", "least_id")
+    # rows that stand for themselves need no join: only copies and linked sets are looked up
+    other = classes.join(moved, "key", "left").where("m > 1 or least_id is not null").select("key", F.coalesce("least_id", "first_id").alias("group_id"))
+    looked = prints.join(sized_broadcast(durable(other), broadcast_bytes), "key", "left")
+    return looked.select("doc_id", F.coalesce("group_id", "doc_id").alias("component_id"))
