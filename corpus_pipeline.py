@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifspark.llm import decontam, langid, neardup, packing, secrets, simhash
-from motifspark.llm.common import durable, read_table, shared_folder, sized_broadcast
+from motifspark.llm.common import durable, new_folder, read_table, sized_broadcast
 
 #: Bound on a table of ids that a stage broadcasts.
 BROADCAST_BYTES = 32 << 20
@@ -51,7 +50,7 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def _sized(ids: DataFrame) -> DataFrame:
-    return sized_broadcast(durable(ids), 64, BROADCAST_BYTES)
+    return sized_broadcast(durable(ids), BROADCAST_BYTES)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -78,7 +77,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages on ``documents``; each result is written as Parquet in the shared folder and read back."""
     docs = read_table(spark, sf_dir, "documents")
-    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
+    folder = new_folder(spark, "pipeline-")
     for i, (name, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{i}-{name}")
         docs = spark.read.parquet(f"{folder}/{i}-{name}")
