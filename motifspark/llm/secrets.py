@@ -32,22 +32,41 @@ ENCODINGS = (
 #: Usual frequency of the letters a to z, in thousandths.
 LETTER_PERMILLE = (82, 15, 28, 43, 127, 22, 20, 61, 70, 2, 8, 40, 24, 67, 75, 19, 1, 60, 63, 91, 28, 10, 24, 2, 20, 1)
 
-#: A token may follow "=": that sign belongs to it as padding only, at its end.
-TOKEN = r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{20,}(?:={1,2}(?![A-Za-z0-9+/_=-]))?"
+#: A token may follow "=": that sign belongs to it as padding only, at its end. Tokens that touch a base span are none.
+TOKEN = r"(?<![A-Za-z0-9+/_﷐-﷯-])[A-Za-z0-9+/_-]{20,}+(?![﷐-﷯])(?:={1,2}(?![A-Za-z0-9+/_=﷐-﷯-]))?"
 MASK = "[SECRET]"
+SPAN = "struct<s:int,k:int,e:int,kind:string>"
+
+
+def _sql(s: str) -> str:
+    return s.replace("\\", "\\\\").replace("'", "\\'")
 
 
 def _located(t: str, pattern: str, group: int, least: int, kind: str, rank: int) -> Column:
-    """Array of ``struct(s, k, e, kind)`` for the matches of a pattern in column ``t``, in code points."""
-    p = pattern.replace("\\", "\\\\").replace("'", "\\'")
+    """``struct(m, g, p, s)`` for a pattern in column ``t``: matches, their group, the text between, and the starts in code
+    points. Starts are running sums, made block by block, with as many blocks as a block has matches."""
+    p = _sql(pattern)
+    running = "aggregate({xs}, struct({start} as at, cast(array() as array<int>) as out), (a, x) -> struct(a.at + {step} as at, array_append(a.out, a.at) as out), a -> a.out)"
+    inner = running.format(xs="slice(z.n, b * z.w + 1, z.w)", start="z.o[b]", step="x")
+    offsets = running.format(xs="z.sums", start="0", step="x")
     found = f"""
-      transform(array(struct(regexp_extract_all({t}, '{p}', 0) as m, regexp_extract_all({t}, '{p}', {group}) as g, split({t}, '{p}', -1) as p)), z ->
-        aggregate(sequence(0, size(z.m) - 1), struct(0 as at, cast(array() as array<struct<s:int,k:int,e:int,kind:string>>) as out),
-          (a, i) -> struct(a.at + length(z.p[i]) + length(z.m[i]) as at,
-            case when length(z.g[i]) >= {least} then concat(a.out, array(struct(
-              a.at + length(z.p[i]) as s, {rank} as k, a.at + length(z.p[i]) + length(z.m[i]) as e, '{kind}' as kind))) else a.out end as out),
-          a -> a.out))[0]"""
-    return F.expr(f"case when {t} rlike '{p}' then {found} else cast(array() as array<struct<s:int,k:int,e:int,kind:string>>) end")
+      transform(transform(transform(transform(array(struct(regexp_extract_all({t}, '{p}', 0) as m, regexp_extract_all({t}, '{p}', {group}) as g, split({t}, '{p}', -1) as p)),
+        z -> struct(z.m as m, z.g as g, z.p as p, transform(z.m, (x, i) -> length(z.p[i]) + length(x)) as n, cast(ceil(sqrt(size(z.m))) as int) as w)),
+        z -> struct(z.m as m, z.g as g, z.p as p, z.n as n, z.w as w, transform(sequence(0, (size(z.m) - 1) div z.w), b -> aggregate(slice(z.n, cast(b * z.w + 1 as int), z.w), 0, (a, x) -> a + x)) as sums)),
+        z -> struct(z.m as m, z.g as g, z.p as p, z.n as n, z.w as w, size(z.sums) as c, {offsets} as o)),
+        z -> struct(z.m as m, z.g as g, z.p as p, transform(flatten(transform(sequence(0, z.c - 1), b -> {inner.replace("b * z.w + 1", "cast(b * z.w + 1 as int)")})), (x, i) -> x + length(z.p[i])) as s))[0]"""
+    return F.expr(f"case when {t} rlike '{p}' then {found} end")
+
+
+def _spans(z: str, least: int, kind: str, rank: int) -> str:
+    """SQL array of the spans of located matches whose group is long enough."""
+    all_ = f"transform({z}.m, (x, i) -> case when length({z}.g[i]) >= {least} then struct({z}.s[i] as s, {rank} as k, {z}.s[i] + length(x) as e, '{kind}' as kind) end)"
+    return f"coalesce(filter({all_}, x -> x is not null), cast(array() as array<{SPAN}>))"
+
+
+def _blanked(t: str, z: str, keep: str) -> str:
+    """SQL of a text with its matches overwritten, place for place, by the fill, but for those that ``keep`` holds of."""
+    return f"case when {z} is null then {t} else array_join(transform({z}.p, (x, i) -> case when i >= size({z}.m) then x when {keep} then concat(x, {z}.m[i]) else concat(x, repeat(fill, length({z}.m[i]))) end), '') end"
 
 
 def _randomness(tok: str) -> str:
@@ -55,7 +74,7 @@ def _randomness(tok: str) -> str:
     enc = "case " + " ".join(f"when {tok} rlike '{rx}' then '{abc}'" for _, rx, abc in ENCODINGS) + " end"
     freq = "array(" + ", ".join(f"{x / 1000}D" for x in LETTER_PERMILLE) + ")"
     tail = lambda z: f"(1 / (1 + exp(least(1.5976D * ({z}) + 0.070565992D * pow({z}, 3), 600D))))"
-    chars = f"transform(sequence(1, length({tok})), i -> substring({tok}, i, 1))"
+    chars = f"regexp_extract_all({tok}, '.', 0)"
     return f"""
       transform(transform(transform(transform(array(struct({enc} as abc, {chars} as c)),
         x -> struct(x.abc as abc, x.c as c, size(x.c) as n, length(x.abc) as k,
@@ -85,25 +104,43 @@ def _randomness(tok: str) -> str:
 
 
 def find_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", false_discovery: float = 0.01) -> DataFrame:
-    """All columns of ``docs`` as ``struct row``, with ``t`` (text), ``base`` and ``spans``: arrays of ``struct(s, k, e, kind)``.
+    """All columns of ``docs`` as ``struct row``, with ``t`` (text), ``base`` and ``spans``: arrays of ``struct(s, k, e, kind)``,
+    and ``marked``: the text with every span overwritten by the character ``fill``, which the text does not hold.
 
     ``s`` and ``e`` count code points, ``e`` exclusive; arrays are ordered by start, then kind (assign, access, hex,
     random). A null text counts as empty and has no spans; repeated rows stay repeated; an empty table stays empty.
+    Work grows about with the length of a text, and with the 1.5th power of its number of matches.
     """
     own = docs.select(F.struct("*").alias("row"), text_or_empty(F.col(text_col)).alias("t"))
-    base = [_located("t", rx, g, least, kind, i) for i, (kind, rx, g, least) in enumerate(BASE_KINDS)]
-    own = own.withColumn("base", F.array_sort(F.concat(*base)))
-    own = own.withColumn("cand", _located("t", TOKEN, 0, 20, "random", len(BASE_KINDS)))
-    apart = "filter(cand, c -> not exists(base, b -> b.s < c.e and c.s < b.e))"
-    own = own.withColumn("cand", F.expr(f"case when size(cand) > 0 then {apart} end"))
-    tested = f"transform(cand, c -> struct({_randomness("rtrim('=', substring(t, c.s + 1, c.e - c.s))")} as r, c as c))"
-    own = own.withColumn("cand", F.expr(f"case when size(cand) > 0 then {tested} end"))
-    weighed = """transform(cand, x -> struct(x.r.p * aggregate(cand, 0D, (a, y) -> a + y.r.n) / (size(cand) * x.r.n) as q, x.r.passed as passed, x.c as c))"""
-    own = own.withColumn("cand", F.expr(f"array_sort({weighed})"))
-    last = f"coalesce(array_max(transform(cand, (x, i) -> case when x.q <= {false_discovery}D * (i + 1) / size(cand) then i + 1 else 0 end)), 0)"
-    added = F.expr(f"transform(filter(slice(cand, 1, {last}), x -> x.passed), x -> x.c)")
-    none = F.expr("cast(array() as array<struct<s:int,k:int,e:int,kind:string>>)")
-    return sealed(own, ["row", "t"], {"base": F.col("base"), "spans": F.array_sort(F.concat("base", F.coalesce(added, none)))})
+    fills = "array(" + ", ".join(f"'{chr(0xFDD0 + i)}'" for i in range(32)) + ")"
+    own = own.withColumn("fill", F.expr(f"case when t rlike '[\\\\uFDD0-\\\\uFDEF]' then coalesce(filter({fills}, f -> not contains(t, f))[0], '{chr(0xFDD0)}') else '{chr(0xFDD0)}' end"))
+    blank, names = "t", []
+    for i, (kind, rx, group, least) in enumerate(BASE_KINDS):
+        own = own.withColumn(f"z{i}", _located("t", rx, group, least, kind, i))
+        names.append(f"case when z{i} is null then cast(array() as array<{SPAN}>) else {_spans(f'z{i}', least, kind, i)} end")
+    for i, (_, rx, group, least) in enumerate(BASE_KINDS):
+        # a later kind is looked for in the text blanked before; what is left of its match there touches a blank
+        again = f"z{i}" if not i else f"y{i}"
+        if i:
+            some = " or ".join(f"z{j} is not null" for j in range(i))
+            struct = f"struct(regexp_extract_all(blank, '{_sql(rx)}', 0) as m, regexp_extract_all(blank, '{_sql(rx)}', {group}) as g, split(blank, '{_sql(rx)}', -1) as p)"
+            own = own.withColumn(again, F.expr(f"case when z{i} is null then null when {some} then {struct} else struct(z{i}.m as m, z{i}.g as g, z{i}.p as p) end"))
+        own = own.withColumn("blank", F.expr(_blanked(blank, again, f"length({again}.g[i]) < {least}")))
+        blank = "blank"
+    own = own.select("row", "t", "fill", "blank", F.array_sort(F.expr(f"concat({', '.join(names)})")).alias("base"))
+    own = own.withColumn("cand", _located("blank", TOKEN, 0, 20, "random", len(BASE_KINDS)))
+    own = own.withColumn("test", F.expr(f"transform(cand.m, c -> {_randomness('rtrim(chr(61), c)')})"))
+    weighed = "transform(array(aggregate(test, 0D, (a, y) -> a + y.n) / size(test)), w -> transform(test, x -> x.p * w / x.n))[0]"
+    own = own.withColumn("q", F.expr(f"case when size(test) > 0 then {weighed} end"))
+    # the step-up rule: the greatest weighed p-value that its rank allows
+    most = f"array_max(transform(array_sort(q), (x, i) -> case when x <= {false_discovery}D * (i + 1) / size(q) then x end))"
+    # bound to a variable, so that no optimiser writes the rule into the lambda that it is compared in
+    own = own.withColumn("hit", F.expr(f"transform(array(struct(test, q, {most} as most)), z -> transform(z.test, (x, i) -> x.passed and coalesce(z.q[i] <= z.most, false)))[0]"))
+    k = len(BASE_KINDS)
+    added = f"filter(transform(cand.m, (x, i) -> case when hit[i] then struct(cand.s[i] as s, {k} as k, cand.s[i] + length(x) as e, 'random' as kind) end), x -> x is not null)"
+    spans = F.array_sort(F.expr(f"concat(base, coalesce({added}, cast(array() as array<{SPAN}>)))"))
+    marked = F.expr(_blanked("blank", "cand", "not hit[i]"))
+    return sealed(own, ["row", "t", "fill"], {"base": F.col("base"), "spans": spans, "marked": marked})
 
 
 def span_text(spans: str) -> Column:
@@ -118,11 +155,11 @@ def secret_report(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 
 def redact(docs: DataFrame, text_col: str = "text", mask: str = MASK) -> DataFrame:
-    """``docs`` with the same columns, each span in the text replaced by a mask; overlapping spans become one."""
-    cut = f"""case when size(spans) = 0 then t else aggregate(spans, struct('' as out, 0 as at), (a, x) ->
-        case when x.s >= a.at then struct(concat(a.out, substring(t, a.at + 1, x.s - a.at), '{mask}') as out, x.e as at)
-             else struct(a.out as out, greatest(a.at, x.e) as at) end,
-        a -> concat(a.out, substring(t, a.at + 1))) end"""
-    found = find_secrets(docs, text_col=text_col).withColumn("t", F.expr(cut))
-    kept = [F.when(F.col(f"row.`{text_col}`").isNotNull(), F.col("t")).alias(c) if c == text_col else F.col(f"row.`{c}`").alias(c) for c in docs.columns]
+    """``docs`` with the same columns, each span in the text replaced by a mask; overlapping and touching spans become one.
+
+    A null text stays null.
+    """
+    found = find_secrets(docs, text_col=text_col)
+    text = F.expr(f"case when size(spans) = 0 then t else regexp_replace(marked, concat(fill, '+'), '{_sql(mask)}') end")
+    kept = [F.when(F.col(f"row.`{text_col}`").isNotNull(), text).alias(c) if c == text_col else F.col(f"row.`{c}`").alias(c) for c in docs.columns]
     return found.select(*kept)
