@@ -285,7 +285,9 @@ def _rewritten(found: DataFrame, key: str, names: bool) -> DataFrame:
     found = found.withColumn("bare", F.expr(f"map_from_entries(transform({once}, z -> struct(z.core, z.s)))"))
     is_bare = f"length(x) > 1 and x rlike '{_sql(_CAPITAL)}' and map_contains_key(bare, lower(x))"
     found = found.withColumn("m", F.expr(f"case when cardinality(bare) > 0 then aggregate(gaps, 0, (a, g) -> a + size(filter(g.w, x -> {is_bare}))) else 0 end"))
-    word = f"case when {is_bare} then {_cased('x', 'bare[lower(x)]')} else x end"
+    # the capital of O'Brien goes with its name
+    led = f"length(x) = 1 and x rlike '\\\\p{{Lu}}' and g.s[i + 1] in ('\\'', '’') and map_contains_key(bare, lower(g.w[i + 1]))"
+    word = f"case when {is_bare} then {_cased('x', 'bare[lower(x)]')} when {led} then {_initial('x', key)} else x end"
     gaps = f"transform(gaps, g -> concat(g.s[0], array_join(transform(g.w, (x, i) -> concat({word}, g.s[i + 1])), '')))"
     found = found.withColumn("parts", F.expr(f"case when cardinality(bare) > 0 then {gaps} else parts end"))
     return found.withColumns({"text": F.expr(f"case when size(found) > 0 then {join} else t end"), "n": F.coalesce(F.size("found"), F.lit(0)) + F.coalesce("m", F.lit(0))})

@@ -120,9 +120,8 @@ def test_near_copies_by_exact_similarity(spark):
     assert got == dict(enumerate(root)) and len(set(root)) < len(texts) - 50
     kept = dict(corpus_pipeline.STAGES)["near_dedup"](spark, docs, SF)
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(set(root))
-    for frequent, bound in ((0, 0), (10, 32 << 20)):
-        again = neardup.similar_groups(docs, frequent=frequent, broadcast_bytes=bound).collect()
-        assert {r["doc_id"]: r["component_id"] for r in again} == got
+    again = neardup.similar_groups(docs, frequent=0, broadcast_bytes=0).collect()
+    assert {r["doc_id"]: r["component_id"] for r in again} == got
     assert neardup.similar_groups(docs.limit(0)).count() == 0
 
 
@@ -174,7 +173,6 @@ def test_packing_covers_every_token_once(docs, odd, spark):
     from tokenizers import Tokenizer
 
     tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    tok.encode_special_tokens = True
     for table in (docs, odd.where("doc_id <> 5")):
         ids = {r["doc_id"]: [*tok.encode(r["text"] or "", add_special_tokens=False).ids, 0] for r in table.collect()}
         pieces = packing.pack_documents(table).collect()
@@ -233,20 +231,87 @@ PAGE = """<html><head><title>T</title><script>var a="</p>";</script></head><body
 <article><h1>Head &amp; line</h1><p><b>One   two<br>three<p>Four&nbsp;five<form>in<p>put</form><div class="comments"><div>said</div></div></article><footer>&copy; x</footer>"""
 
 
+def main_text(page, shared=()):
+    return html.main_lines(html.parse(page), set(shared))[0]
+
+
 def test_html_article():
-    assert html.parse(PAGE)[0] == ["Head & line", "One two three", "Four five"]
-    assert html.parse("")[0] == [] and html.parse("<div class=ad><article>kept</article>")[0] == ["kept"]
-    assert html.parse("a < b <p>c")[0] == ["a < b", "c"]
+    assert main_text(PAGE) == ["Head & line", "One two three", "Four five"]
+    assert main_text("") == [] and main_text("<div class=ad><article>kept</article>") == ["kept"]
+    assert main_text("a < b <p>c") == ["a < b", "c"]
+    assert main_text("<div><a href=x>Menu</a> <a href=y>two</a></div><p>text with <a>a link</a></p><div>&copy; us</div>") == ["text with a link"]
+    lines = html.parse(PAGE)
+    assert [x.text for x in lines if x.noisy] == ["Menu", "Buy", "in", "put", "said", "© x"]
+
+
+def longest_common_length(a, b):
+    row = [0] * (len(b) + 1)
+    for x in a:
+        new = [0]
+        for j, y in enumerate(b):
+            new.append(row[j] + 1 if x == y else max(new[-1], row[j + 1]))
+        row = new
+    return row[-1]
+
+
+def test_longest_common_against_the_table():
+    rng = random.Random(8)
+    for _ in range(200):
+        a, b = ([rng.randrange(6) for _ in range(rng.randrange(15))] for _ in "ab")
+        at = html.longest_common(a, b)
+        rest = iter(b)
+        assert at == sorted(set(at)) and len(at) == longest_common_length(a, b) and all(a[i] in rest for i in at)
 
 
 def test_html_differencing(spark, empty):
     page = lambda body: f"<body><div>Site name</div><div>{body}</div><div>All about us</div></body>"
     words = [" ".join(f"w{i}x{j}" for j in range(30)) for i in range(6)]
     rows = [(i, f"https://www.h.example/{i // 3}/{i}", page(w)) for i, w in enumerate(words)] + [(10, "https://other/x", page("alone")), (11, None, None), (12, "https://h.example/0/1b", page(words[1]))]
-    got = {r["page_id"]: r["text"] for r in html.extract_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
-    assert {i: got[i] for i in range(6)} == dict(enumerate(words))
-    assert got[10] == "Site name\n\nalone\n\nAll about us" and got[11] == "" and got[12] == words[1]
+    rows += [(20 + i, f"https://h.example/0/1{c}", page(words[1] + " again")) for i, c in enumerate("cdefg")]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({c: F.lit(1) for c in ("cut", "keys", "rank", "hk")})
+    for table in (pages, pages.repartition(7)):
+        found = html.extract_text(table).collect()
+        got = {r["page_id"]: r["text"] for r in found}
+        assert {i: got[i] for i in range(6)} == dict(enumerate(words))
+        assert got[10] == "Site name\n\nalone\n\nAll about us" and got[11] == "" and got[12] == words[1]
+        assert {got[20 + i] for i in range(5)} == {words[1] + " again"}
+        assert all(r["n_lines"] == 3 and r["n_shared"] == 2 for r in found if r["page_id"] not in (10, 11))
     assert html.longest_common([1, 2, 3, 4, 2], [2, 9, 3, 2]) == [1, 2, 4]
+    none = spark.createDataFrame([], "page_id long, url string, html string")
+    assert html.extract_text(none).count() == 0 and html.extract_text(none).columns == html.extract_text(pages).columns
+
+
+def test_html_differencing_against_brute_force(spark):
+    """All pages of a few hosts with shared and own lines; neighbours by a sort in Python, lines by the table."""
+    rng = random.Random(9)
+    pool = [f"template {i}" for i in range(12)]
+    rows = []
+    for i in range(60):
+        lines = [rng.choice(pool) if rng.random() < 0.5 else f"own {i} {j} " + "x" * 20 for j in range(rng.randrange(1, 9))]
+        rows.append((i, f"http://h{i % 3}.example/{rng.randrange(3)}/{rng.randrange(4)}/{i}", "".join(f"<p>{x}</p>" for x in lines), lines))
+    want = {}
+    for host in range(3):
+        own = sorted((html._address(u)[1], i, x) for i, u, _, x in rows if i % 3 == host)
+        seen, alone = set(), []
+        for r in own:  # pages with the same lines are one
+            if tuple(r[2]) not in seen:
+                seen.add(tuple(r[2]))
+                alone.append(r)
+        for r in own:
+            k = next(j for j, x in enumerate(alone) if x[2] == r[2])
+            near = [j for j in range(max(0, k - 3), min(len(alone), k + 4)) if j != k]
+            near.sort(key=lambda j: (-html._near(alone[k][0], alone[j][0]), abs(j - k)))
+            kept = r[2]
+            for j in near:
+                n = longest_common_length(r[2], alone[j][2])
+                at = html.longest_common(r[2], alone[j][2])
+                assert n == len(at)
+                if at and sum(len(r[2][i]) for i in at) < 0.8 * sum(map(len, r[2])):
+                    kept = [x for i, x in enumerate(r[2]) if i not in at]
+                    break
+            want[r[1]] = "\n\n".join(kept)
+    pages = spark.createDataFrame([r[:3] for r in rows], "page_id long, url string, html string")
+    assert {r["page_id"]: r["text"] for r in html.extract_text(pages).collect()} == want
 
 
 def test_html_given_pages(spark):
@@ -356,16 +421,108 @@ def test_pii_surrogates(spark):
     assert re.search(r"Frau [A-Z][a-z]+ met Mr\. \w+ \w+\.", text[2]) and all(int(x) < 256 for x in re.findall(r"\d+(?=\.\d+\.)", text[1])[-2:])
 
 
-def test_pii_surrogates_stay_distinct_under_collisions(spark):
-    rows = [(i, f"host {i // 3 % 10}.{i % 10}.{i // 30 % 10}.{i // 300}") for i in range(1500)]
-    got = pii.pseudonymise(spark.createDataFrame(rows, "doc_id long, text string"), "k").collect()
-    real = {t for _, t in rows}
-    by = {}
-    for r in got:
-        by.setdefault(dict(rows)[r["doc_id"]], set()).add(r["text"])
-    assert all(len(v) == 1 for v in by.values())
-    assert len({next(iter(v)) for v in by.values()}) == len(real)
-    assert not {next(iter(v)) for v in by.values()} & real
+def replaced(table, key="k"):
+    return {r["doc_id"]: r["text"] for r in pii.pseudonymise(table, key).collect()}
+
+
+def test_pii_of_a_crowded_format(spark):
+    """All 10,000 addresses of one-digit octets: a permutation without a fixed point."""
+    rows = [(i, ".".join(f"{i:04d}")) for i in range(10_000)]
+    got = replaced(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert set(got.values()) == {t for _, t in rows} and not any(got[i] == t for i, t in rows)
+
+
+def test_pii_of_more_names_than_short_surrogates(spark):
+    rows = [(i, f"Mr. N{''.join('abcdefghij'[int(c)] for c in str(i))} said") for i in range(20_000)]
+    got = replaced(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert len(set(got.values())) == len(rows) and not set(got.values()) & {t for _, t in rows}
+    assert all(re.fullmatch(r"Mr\. [A-Z][a-z]+ said", t) for t in got.values())
+    some = spark.createDataFrame([(i, t) for i, t in rows if i % 3 == 0] * 2, "doc_id long, text string")
+    by_join = {r["doc_id"]: r["text"] for r in pii.pseudonymise(some, "k", broadcast_bytes=0).collect()}
+    assert by_join == replaced(some) and len(set(by_join.values())) == len(by_join)
+
+
+NAMES = "Mr. Иван Петров met Mr. O'Brien, Mr. McDonald, MR. JOHN SMITH, Ms. J. Doe, Frau Müller-Lüdenscheidt and Mrs. Anna Maria Schmidt. Later Smith and Schmidt's friend O'Brien left. Mr. Smith, Dr.Smith."
+
+
+def test_pii_names_by_script_gender_and_mention(spark):
+    text = replaced(spark.createDataFrame([(1, NAMES), (2, "Herr von Braun, г-жа Иванова; κυρία Παπαδοπούλου. 王 Dr. 王小明")], "doc_id long, text string"))
+    for private in ("Иван", "Петров", "Brien", "Donald", "JOHN", "SMITH", "Smith", "Doe", "Müller", "Lüdenscheidt", "Anna", "Maria", "Schmidt", "Braun", "Иванова", "Παπαδοπούλου", "王小明"):
+        assert private not in text[1] + text[2]
+    m = re.match(r"Mr\. ([А-Я][а-я]+) ([А-Я][а-я]+) met Mr\. ([A-Z]'[A-Z][a-z]+), Mr\. Mc[A-Z][a-z]+, MR\. ([A-Z]+) ([A-Z]+), Ms\. [A-IK-Z]\. [A-Z][a-z]+, Frau [A-Z][a-z]+-[A-Z][a-z]+ and Mrs\. ([A-Z][a-z]+) [A-Z][a-z]+ ([A-Z][a-z]+)\. Later ([A-Z][a-z]+) and ([A-Z][a-z]+)'s friend ([A-Z]'[A-Z][a-z]+) left\. Mr\. ([A-Z][a-z]+), Dr\.([A-Z][a-z]+)\.", text[1])
+    assert m and m[5].title() == m[8] == m[11] == m[12] and m[7] == m[9] and m[3] == m[10]
+    ends = lambda w, role: any(w.lower().endswith(e) for e in pii.STOCK["latin"][role].split())
+    assert ends(m[4], "given_m") and ends(m[6], "given_f")
+    assert re.match(r"Herr von [A-Z][a-z]+, г-жа [А-Я][а-я]+; κυρία [Α-Ω][α-ω]+\.", text[2])
+
+
+def brute_surrogate(kind, mention, key):
+    """Permutation of a format by the definition: rounds over halves, a step, the rounds undone."""
+    sha = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    norm = mention.lower() if kind == "email" else re.sub(r"[^0-9]+", "", mention) if kind in ("phone", "ssn", "card") else mention.replace(" ", "") if kind == "iban" else mention
+    units = []
+    if kind == "ip":
+        for i, o in enumerate(norm.split(".")):
+            lo, size = (0, 10 ** (len(o) - 1) * (10 if len(o) == 1 else 1)) if len(o) == 1 or o[0] == "0" else (10, 90) if len(o) == 2 else (100, 156) if int(o) < 256 else (256, 744)
+            units.append((i, lo, 1, size, int(o) - lo))
+    else:
+        last = norm.rfind(".") if kind == "email" else len(norm) - 1
+        allowed = {"email": lambda i: i < last, "iban": lambda i: i >= 4, "phone": lambda i: i >= 1, "card": lambda i: i < last, "ssn": lambda i: True}[kind]
+        for i, c in enumerate(norm):
+            for lo, hi, step in pii.RANGES:
+                if lo <= ord(c) <= hi and (ord(c) - lo) % step == 0 and allowed(i):
+                    units.append((i, lo, step, (hi - lo) // step + 1, (ord(c) - lo) // step))
+    if not units:
+        return mention
+    tag = f"{key}|{kind}|{len(norm)}|" + ",".join(f"{i}:{lo}:{size}" for i, lo, _, size, _ in units)
+    a, half = [u[4] for u in units], len(units) // 2
+
+    def turn(i, sign):
+        seed = f"{tag}|{i}|" + ",".join(map(str, a[half:] if i % 2 == 0 else a[:half]))
+        s = sha(seed) + sha("+" + seed)
+        for j in range(len(a)):
+            if (j < half) == (i % 2 == 0):
+                a[j] = (a[j] + sign * int(s[4 * (j % 32) : 4 * (j % 32) + 4], 16)) % units[j][3]
+
+    for i in range(4):
+        turn(i, 1)
+    a[0] = (a[0] + 1 + int(sha(tag + "|step")[:6], 16) % (units[0][3] - 1)) % units[0][3]
+    for i in range(3, -1, -1):
+        turn(i, -1)
+    if kind == "ip":
+        return ".".join(str(u[1] + x).rjust(len(o), "0") for u, x, o in zip(units, a, norm.split("."), strict=True))
+    new = list(norm)
+    for (i, lo, step, _, _), x in zip(units, a, strict=True):
+        new[i] = chr(lo + step * x)
+    if kind == "card":
+        luhn = lambda d: -sum(int(c) if j % 2 else sum(divmod(2 * int(c), 10)) for j, c in enumerate(reversed(d))) % 10
+        new[-1] = str((luhn("".join(new[:-1])) + int(norm[-1]) - luhn(norm[:-1])) % 10)
+    if kind == "iban":
+        check = lambda x: 98 - int("".join(str(int(c, 36)) for c in x[4:] + x[:2]) + "00") % 97
+        new[2:4] = f"{(check(''.join(new)) + int(norm[2:4]) - check(norm)) % 100:02d}"
+    if kind == "email":
+        return "".join(x if c == c.lower() else x.upper() for c, x in zip(mention, new, strict=True))
+    left = iter(new)
+    return "".join(next(left) if (c.isdigit() if kind != "iban" else c != " ") else c for c in mention)
+
+
+def test_pii_against_brute_force(spark):
+    import regex
+
+    odd = "DE89 3704 0044 0532 0130 00, GB82WEST12345698765432, 4111 1111 1111 1111, 4952935900253052, 123-45-6789, 1.02.003.999, é.ü@bücher.example.de 用户@例子.公司 X.Y@Z.ORG +1 (555) 123-4567 +15551234567 555-123-4567"
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").union(spark.createDataFrame([(-1, odd)], "doc_id long, text string"))
+    kinds = [(k, regex.compile(p)) for k, p in pii.PATTERNS]
+    whole, met = regex.compile(pii._ANY), Counter()
+
+    def swap(m):
+        kind = next(k for k, p in kinds if p.fullmatch(m[0]))
+        met[kind] += 1
+        return brute_surrogate(kind, m[0], "k")
+
+    got = replaced(docs)
+    for r in docs.collect():
+        assert got[r["doc_id"]] == (None if r["text"] is None else whole.sub(swap, r["text"]))
+    assert set(met) == {"email", "iban", "ip", "ssn", "card", "phone"}
 
 
 def test_warc_round_trip(spark):
