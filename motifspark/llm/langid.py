@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import re
-import sys
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -14,9 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 UNKNOWN = "und"
-#: Everything but letters; number characters that are no decimal digits, such as fractions, count as words for ``re``.
-_NUMBERS = "".join(c for c in map(chr, range(sys.maxunicode + 1)) if c.isnumeric() and not c.isalpha())
-_NOT_LETTERS = re.compile(rf"[\W\d_{_NUMBERS}]+")
+_NOT_WORDS = re.compile(r"[\W\d_]+")
 
 
 @dataclass(frozen=True)
@@ -32,8 +29,11 @@ class LanguageModel:
 
 
 def letters_only(text: str) -> str:
-    """Lower-cased text with every run of other characters made one space."""
-    return _NOT_LETTERS.sub(" ", text).strip().lower()
+    """Lower-cased text with every run of other characters made one space; letters are the characters of category L."""
+    found = _NOT_WORDS.sub(" ", text)
+    if not found.replace(" ", "a").isalpha():  # fractions and the like are words for the pattern, but no letters
+        found = " ".join("".join(c if c.isalpha() else " " for c in found).split())
+    return found.strip().lower()
 
 
 def held_out(id_col: Column) -> Column:
