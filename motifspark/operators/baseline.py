@@ -14,7 +14,7 @@ from motifspark.plans.language import words
 from motifspark.plans.tree import OPS, SYMMETRIC, Tree, canonical_word, leaf, node, parse_tree
 
 from . import kernel
-from .mine import blocks, encode
+from .mine import blocks, encode, gathered
 
 
 def fragments(coded: DataFrame, trees: list[Tree], codes: dict[str, int]) -> list[int]:
@@ -22,7 +22,7 @@ def fragments(coded: DataFrame, trees: list[Tree], codes: dict[str, int]) -> lis
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(len(trees), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
                 tr, w = kernel.Traces(acts, codes), weight.to_numpy()
                 for i, t in enumerate(trees):

@@ -5,8 +5,9 @@ program: a leaf is one gather, a sequence starts its right child at the end of i
 later end, a choice the earlier one, a loop runs body, redo and body again. Earliest ends are monotone in the
 start, so the greedy program is exact for trees of distinct activities. All steps work on whole columns of traces.
 
-Growth fills a candidate's places from the stored places of its two seeds. Whatever the change leaves alone is copied;
-only the new node, or what must move behind it, is looked up again, on the rows that need it.
+Growth fills a candidate's places from the places of its two seeds, kept as whole columns. Whatever the change leaves
+alone is taken over as it is; the new node, and what must move behind it, is decided by comparing columns, and only
+rows in which the seeds' places do not fit are looked up again.
 """
 
 from __future__ import annotations
@@ -36,15 +37,20 @@ def check_distinct(t: Tree) -> None:
 
 
 class Traces:
-    """A batch of traces as next-place tables. ``acts``: codes padded with -1; places count from 1, ``far`` is none."""
+    """A batch of traces as next-place tables. ``acts``: codes padded with -1; places count from 1, ``far`` is none.
 
-    def __init__(self, acts: np.ndarray, codes: dict[str, int]):
+    Tables and held matches stay within ``room`` bytes; beyond it the oldest table goes and is made again if asked for.
+    """
+
+    def __init__(self, acts: np.ndarray, codes: dict[str, int], room: int = 256 << 20):
         self.acts, self.codes = acts, codes
         self.rows, self.width = acts.shape
         self.far = self.width + 1
+        self.every = np.arange(self.rows)
+        self.base = self.every * (self.width + 2)
         self._next: dict[str, np.ndarray] = {}
         self._held: dict[str, Match] = {}
-        self._room = 48 << 20
+        self._room, self._table_room = 48 << 20, room
 
     def from_start(self, t: Tree) -> Match:
         """Match of a tree from the start of all rows; two-leaf trees are held for others that contain them, within bounds."""
@@ -57,16 +63,19 @@ class Traces:
         return found
 
     def table(self, a: str) -> np.ndarray:
-        if a not in self._next:
+        if (held := self._next.get(a)) is None:
             place = np.where(self.acts == self.codes.get(a, -2), np.arange(1, self.width + 1, dtype=np.int32), np.int32(self.far))
-            out = np.full((self.rows, self.width + 2), self.far, np.int32)
+            held = np.full((self.rows, self.width + 2), self.far, np.int32)
             if self.width:
-                out[:, : self.width] = np.minimum.accumulate(place[:, ::-1], axis=1)[:, ::-1]
-            self._next[a] = out
-        return self._next[a]
+                held[:, : self.width] = np.minimum.accumulate(place[:, ::-1], axis=1)[:, ::-1]
+            self._next[a] = held
+            self._table_room -= held.nbytes
+            while self._table_room < 0 and len(self._next) > 1:
+                self._table_room += self._next.pop(next(iter(self._next))).nbytes
+        return held
 
     def next(self, a: str, rows: np.ndarray, start: np.ndarray) -> np.ndarray:
-        return self.table(a)[rows, start]
+        return self.table(a).ravel().take((self.base if len(rows) == self.rows else self.base[rows]) + start)
 
 
 def pad(flat: np.ndarray, offsets: np.ndarray) -> np.ndarray:
@@ -126,69 +135,97 @@ def _ends(at: dict[Slot, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return functools.reduce(np.minimum, own), functools.reduce(np.maximum, own)
 
 
-def grow(tr: Traces, t: Tree, path: Path, seed1: dict[Slot, np.ndarray], seed2: dict[Slot, np.ndarray], rows: np.ndarray, work: Work | None = None) -> Match:
-    """Match of a candidate on rows that both seeds match, out of the seeds' places (indexed by all rows).
+def grow(tr: Traces, t: Tree, path: Path, seed1: dict[Slot, np.ndarray], seed2: dict[Slot, np.ndarray], valid: np.ndarray, work: Work | None = None, loops: str = "grown") -> Match:
+    """Match of a candidate out of the places of its seeds; all columns run over all rows of the batch.
 
-    ``path`` leads to the new node, whose left leaf is in ``seed1`` and right leaf in ``seed2``.
+    ``path`` leads to the new node, whose left leaf is in ``seed1`` and right leaf in ``seed2``; ``valid`` marks the rows that
+    both seeds match. Ends of other rows are ``far``; places mean something only where the end is not. ``loops``:
+    ``realigned`` runs the full program on the outermost loop around the change, ``grown`` only on the second run of a
+    body that the change lies in.
     """
     work = work or Work()
-    whole = slice(None) if len(rows) == tr.rows else rows  # views instead of copies; places are never written to
-    block = loop_block(t, path)
-    in_loop = t.at(block).op == "loop"
-    zero = np.zeros(len(rows), np.int32)
-    if t.has("xor"):
-        return scan(tr, t, rows, zero, work)
-
-    def kept_places(seed: dict[Slot, np.ndarray], node: Tree) -> dict[Slot, np.ndarray]:
-        return {s: seed[s][whole] for s in slots(node)}
-
-    def step(node: Tree, here: Path, start: np.ndarray) -> Match:
-        if in_loop and here == block:
-            return scan(tr, node, rows, start, work)
-        if here == path:
-            a, b = (node.left.label, ()), (node.right.label, ())
-            pa, pb = seed1[a][whole], seed2[b][whole]
-            work.reused += len(rows)
-            if node.op == "and":
-                work.reused += len(rows)
-                return Match(np.maximum(pa, pb), {a: pa, b: pb})
-            late = np.flatnonzero(pb <= pa)  # the stored place is not behind the other leaf
-            if len(late):
-                pb = pb.copy()
-                pb[late] = tr.next(node.right.label, rows[late], pa[late])
-            work.realigned += len(late)
-            work.reused += len(rows) - len(late)
-            return Match(pb, {a: pa, b: pb})
-        right_changed = path[len(here)] == 1
-        if node.op == "and" or right_changed:
-            same, changed, side = (node.left, node.right, 1) if right_changed else (node.right, node.left, 0)
-            kept = kept_places(seed1, same)
-            work.reused += len(kept) * len(rows)
-            end = _ends(kept)[1]
-            other = step(changed, (*here, side), start if node.op == "and" else end)
-            return Match(np.maximum(end, other.end) if node.op == "and" else other.end, kept | other.at)
-        left = step(node.left, (*here, 0), start)
-        one, two = kept_places(seed1, node.right), kept_places(seed2, node.right)
+    n = int(np.count_nonzero(valid))
+    full = n == tr.rows
+    every = tr.every if full else np.flatnonzero(valid)
+    block = loop_block(t, path) if loops == "realigned" else None
+    whole_block = block is not None and t.at(block).op == "loop"
+
+    def again(node: Tree, rows: np.ndarray, start: np.ndarray | None, runs: tuple[int, ...] = ()) -> Match:
+        """Full program on some rows, spread over all."""
+        found = scan(tr, node, rows, np.zeros(len(rows), np.int32) if start is None else start[rows], work, runs)
+        if len(rows) == tr.rows:
+            return found
+        spread = []
+        for p in (found.end, *found.at.values()):
+            spread.append(np.full(tr.rows, tr.far, np.int32))
+            spread[-1][rows] = p
+        return Match(spread[0], dict(zip(found.at, spread[1:], strict=True)))
+
+    def behind(node: Tree, runs: tuple[int, ...], start: np.ndarray) -> Match:
+        """An unchanged node that must lie behind ``start``: of both seeds' places the earlier ones that do."""
+        one, two = ({s: seed[s] for s in slots(node, runs)} for seed in (seed1, seed2))
         (lo1, hi1), (lo2, hi2) = _ends(one), _ends(two)
-        fits1, fits2 = lo1 > left.end, lo2 > left.end
-        from_two = fits2 & ((lo2 < lo1) | ~fits1)  # the earlier start if it lies behind the left side, else the later one
-        again = np.flatnonzero(~(fits1 | fits2))
-        if from_two.any():
-            at = {s: np.where(from_two, two[s], one[s]) for s in one}
-            end = np.where(from_two, hi2, hi1)
-        elif len(again):
-            at, end = {s: p.copy() for s, p in one.items()}, hi1.copy()
-        else:
-            at, end = one, hi1
-        if len(again):
-            found = scan(tr, node.right, rows[again], left.end[again], work)
+        fits1, fits2 = lo1 > start, lo2 > start
+        from_two = fits2 & ((lo2 < lo1) | ~fits1)
+        rows = (~(fits1 | fits2) if full else ~(fits1 | fits2) & valid).nonzero()[0]
+        at = {s: np.where(from_two, two[s], one[s]) for s in one}
+        end = np.where(from_two, hi2, hi1)
+        if len(rows):
+            found = scan(tr, node, rows, start[rows], work, runs)
             for s in at:
-                at[s][again] = found.at[s]
-            end[again] = found.end
-        work.reused += len(at) * (len(rows) - len(again))
-        return Match(end, left.at | at)
-
-    return step(t, (), zero)
+                at[s][rows] = found.at[s]
+            end[rows] = found.end
+        work.reused += len(at) * (n - len(rows))
+        return Match(end, at)
+
+    def unchanged(node: Tree, runs: tuple[int, ...]) -> Match:
+        kept = {s: seed1[s] for s in slots(node, runs)}
+        work.reused += len(kept) * n
+        return Match(_ends(kept)[1], kept)
+
+    def fresh(node: Tree, runs: tuple[int, ...]) -> Match:
+        a, b = node.left.label, node.right.label
+        pa, pb = seed1[a, runs], seed2[b, runs]
+        work.reused += n
+        if node.op == "and":
+            work.reused += n
+            return Match(np.maximum(pa, pb), {(a, runs): pa, (b, runs): pb})
+        late = (pb <= pa if full else (pb <= pa) & valid).nonzero()[0]  # the stored place is not behind the other leaf
+        if len(late):
+            pb = pb.copy()
+            pb[late] = tr.next(b, late, pa[late])
+        work.realigned += len(late)
+        work.reused += n - len(late)
+        if node.op == "seq":
+            return Match(pb, {(a, runs): pa, (b, runs): pb})
+        third = again(node.left, every, pb, (*runs, 1))
+        return Match(third.end, {(a, (*runs, 0)): pa, (b, (*runs, 0)): pb} | third.at)
+
+    def step(node: Tree, here: Path, start: np.ndarray | None, runs: tuple[int, ...]) -> Match:
+        """The changed node; what is left of it has not changed, so it starts where it did in the seeds."""
+        if whole_block and here == block:
+            return again(node, every, start, runs)
+        if here == path:
+            return fresh(node, runs)
+        right = path[len(here)] == 1
+        if node.op == "and":
+            same = unchanged(node.left if right else node.right, runs)
+            other = step(node.right if right else node.left, (*here, int(right)), start, runs)
+            return Match(np.maximum(same.end, other.end), same.at | other.at)
+        inner = (*runs, 0) if node.op == "loop" else runs
+        if right:
+            left = unchanged(node.left, inner)
+            redo = step(node.right, (*here, 1), left.end, inner)
+        else:
+            left = step(node.left, (*here, 0), start, inner)
+            redo = behind(node.right, inner, left.end)
+        if node.op == "seq":
+            return Match(redo.end, left.at | redo.at)
+        last = behind(node.left, (*runs, 1), redo.end) if right else again(node.left, every, redo.end, (*runs, 1))
+        return Match(last.end, left.at | redo.at | last.at)
+
+    m = again(t, every, None) if t.has("xor") else step(t, (), None, ())
+    return m if full else Match(np.where(valid, m.end, np.int32(tr.far)), m.at)
 
 
 def boundaries(t: Tree, at: dict[Slot, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:

@@ -15,11 +15,13 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from motifspark.plans.lattice import Candidate, atomic_patterns, construction_tree, next_level
 from motifspark.plans.language import LanguageTooLarge, words
+from motifspark.plans.seeds import seed_kinds
 from motifspark.plans.tree import Tree, canonical, parse_tree
 
 from . import kernel
@@ -28,7 +30,8 @@ from .search import align_trace
 
 COUNTS = "i int, hits bigint, realigned bigint, reused bigint, states bigint"
 PATTERNS = "pid string, tree string, depth int, n_leaves int, root string, n_hits bigint, support double, precision double, compact boolean, maximal boolean, seed1 string, seed2 string"
-CELLS = 4 << 20  # places of the padded block of traces that a kernel holds at a time
+CELLS = 2 << 20  # places of the padded block of traces that a kernel holds at a time
+ROWS = 1 << 16  # traces of such a block at most
 
 
 class TooManyCandidates(RuntimeError):
@@ -79,19 +82,45 @@ def encode(log: DataFrame, compress: bool = True, max_activities: int = 10_000)
         raise ValueError(f"more than {max_activities} activities")
     codes = {a: i for i, a in enumerate(labels)}
     own = variants(log) if compress else log
-    known = F.array(*[F.lit(a) for a in labels]) if labels else F.array().cast("array<string>")
-    acts = F.transform("acts", lambda a: (F.array_position(known, a) - 1).cast("int"))
-    return store(own.select("case_id", acts.alias("acts"), "weight")), codes
+    values = pa.array(labels, pa.string())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            acts = b.column(1)
+            coded = pa.ListArray.from_arrays(acts.offsets, pc.index_in(acts.values, value_set=values))
+            yield pa.RecordBatch.from_arrays([b.column(0), coded, b.column(2)], ["case_id", "acts", "weight"])
+
+    return store(own.select("case_id", "acts", "weight").mapInArrow(run, "case_id string, acts array<int>, weight bigint")), codes
+
+
+def gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Arrow batches put together up to the size of a block, so that a kernel works on long columns."""
+    held: list[pa.RecordBatch] = []
+    rows = cells = 0
+    for b in batches:
+        held.append(b)
+        rows += b.num_rows
+        cells += len(b.column(b.schema.get_field_index("acts")).values)
+        if rows >= ROWS or cells >= CELLS:
+            yield pa.concat_batches(held)
+            held, rows, cells = [], 0, 0
+    if held:
+        yield pa.concat_batches(held)
 
 
 def blocks(batch: pa.RecordBatch, columns: list[str]) -> Iterator[tuple[np.ndarray, list[pa.Array]]]:
-    """The coded traces of a batch as padded matrices of bounded size, traces of like length together."""
+    """The coded traces of a batch as padded matrices of bounded size, traces of like length together.
+
+    A block ends where its number of traces times the length of its longest would pass ``CELLS``; only a single trace
+    may be longer than that.
+    """
     lists = batch.column(batch.schema.get_field_index("acts"))
     lengths = np.diff(lists.offsets.to_numpy())
     order = np.argsort(lengths, kind="stable")
     at = 0
     while at < len(order):
-        take = max(1, CELLS // max(1, int(lengths[order[min(at + 1000, len(order) - 1)]])))
+        cells = np.arange(1, min(ROWS, len(order) - at) + 1) * lengths[order[at : at + ROWS]]  # grows, as lengths do
+        take = max(1, int(np.searchsorted(cells, CELLS, side="right")))
         ids = pa.array(order[at : at + take])
         own = lists.take(ids)
         yield kernel.pad(own.values.to_numpy(zero_copy_only=False), own.offsets.to_numpy()), [batch.column(batch.schema.get_field_index(c)).take(ids) for c in columns]
@@ -108,7 +137,7 @@ def _plain_counts(trees: list[Tree], codes: dict[str, int], mode: str) -> Callab
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((len(trees), 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
                 w = weight.to_numpy()
                 if mode == "search":
@@ -159,90 +188,90 @@ def _widths(trees: dict[str, Tree]) -> dict[str, list[kernel.Slot]]:
     return {w: kernel.slots(t) for w, t in trees.items()}
 
 
-def _unpack(maps: pa.Array, layout: dict[str, list[kernel.Slot]], rows: int) -> dict[str, dict[kernel.Slot, np.ndarray]]:
+@dataclass
+class Held:
+    """Places of a tree by slot, over all rows of a block, and the rows in which it is matched."""
+
+    at: dict[kernel.Slot, np.ndarray]
+    hit: np.ndarray
+
+
+def _unpack(maps: pa.Array, layout: dict[str, list[kernel.Slot]], rows: int) -> dict[str, Held]:
+    """Stored places as columns; rows without a match hold zeros."""
     width = sum(len(s) for s in layout.values())
     flat = maps.flatten().to_numpy(zero_copy_only=False).reshape(rows, width) if width else np.zeros((rows, 0), np.int32)
+    flat = np.ascontiguousarray(flat.T)
     out, at = {}, 0
     for w, own in layout.items():
-        out[w] = {s: flat[:, at + k] for k, s in enumerate(own)}
+        out[w] = Held({s: flat[at + k] for k, s in enumerate(own)}, flat[at] > 0)
         at += len(own)
     return out
 
 
-def _grown(tr: kernel.Traces, c: Candidate, stored: dict | Places, work: kernel.Work) -> tuple[np.ndarray, kernel.Match]:
-    """Rows that both seeds match, and the candidate's match on them."""
+def _grown(tr: kernel.Traces, c: Candidate, stored: dict[str, Held] | Places, work: kernel.Work, loops: str = "grown") -> Held:
+    """The candidate's places out of those of its seeds."""
     one, two = stored[c.seed1], stored[c.seed2]
-    rows = np.nonzero((next(iter(one.values())) > 0) & (next(iter(two.values())) > 0))[0]
-    return rows, kernel.grow(tr, c.tree, c.path, one, two, rows, work)
+    m = kernel.grow(tr, c.tree, c.path, one.at, two.at, one.hit & two.hit, work, loops)
+    return Held(m.at, m.end < tr.far)
 
 
-def _growth_counts(cands: list[Candidate], codes: dict[str, int], layout: dict) -> Callable:
+def _growth_counts(cands: list[Candidate], codes: dict[str, int], layout: dict, loops: str) -> Callable:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((len(cands), 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight, maps) in blocks(b, ["weight", "maps"]):
-                w, tr = weight.to_numpy(), kernel.Traces(acts, codes)
-                stored = _unpack(maps, layout, tr.rows)
-                for i, c in enumerate(cands):
-                    work = kernel.Work()
-                    rows, m = _grown(tr, c, stored, work)
-                    total[i, :3] += w[rows[m.end < tr.far]].sum(), work.realigned, work.reused
+                tr = kernel.Traces(acts, codes)
+                _count_grown(total, cands, tr, weight.to_numpy(), _unpack(maps, layout, tr.rows), loops)
         yield _counter_batch(total)
 
     return run
 
 
+def _count_grown(total: np.ndarray, cands: list[Candidate], tr: kernel.Traces, w: np.ndarray, stored: dict[str, Held] | Places, loops: str = "grown") -> None:
+    even = w.size and (w == w[0]).all()
+    for i, c in enumerate(cands):
+        work = kernel.Work()
+        hit = _grown(tr, c, stored, work, loops).hit
+        total[i, :3] += w[0] * np.count_nonzero(hit) if even else w[hit].sum(), work.realigned, work.reused
+
+
 class Places:
     """Places of frequent trees on one block of traces, grown out of those of their own seeds when first asked for.
 
-    A tree holds zeros in rows without a match. Within ``room`` bytes trees are held for the candidates that follow;
-    beyond it the oldest go and are grown again if needed.
+    Within ``room`` bytes trees are held for the candidates that follow; beyond it the oldest go and are grown again if
+    needed. Columns that a tree shares with its seeds are counted once for each.
     """
 
     def __init__(self, tr: kernel.Traces, known: dict[str, Candidate], room: int = 192 << 20):
         self.tr, self.known, self.room = tr, known, room
-        self._held: dict[str, dict[kernel.Slot, np.ndarray]] = {}
+        self._held: dict[str, Held] = {}
 
-    def __getitem__(self, pid: str) -> dict[kernel.Slot, np.ndarray]:
-        if (at := self._held.get(pid)) is None:
-            at = self._held[pid] = self._grow(pid)
-            self.room -= sum(p.nbytes for p in at.values())
+    def __getitem__(self, pid: str) -> Held:
+        if (own := self._held.get(pid)) is None:
+            own = self._held[pid] = self._grow(pid)
+            self.room -= sum(p.nbytes for p in own.at.values())
             while self.room < 0 and len(self._held) > 2:
                 gone = self._held.pop(next(iter(self._held)))
-                self.room += sum(p.nbytes for p in gone.values())
-        return at
+                self.room += sum(p.nbytes for p in gone.at.values())
+        return own
 
-    def _grow(self, pid: str) -> dict[kernel.Slot, np.ndarray]:
-        tr = self.tr
+    def _grow(self, pid: str) -> Held:
         if (c := self.known.get(pid)) is None:  # an activity
-            p = tr.next(pid, *_all(tr))
-            return {(pid, ()): np.where(p < tr.far, p, 0).astype(np.int32)}
-        rows, m = _grown(tr, c, self, kernel.Work())
-        hit = m.end < tr.far
-        out = {}
-        for s, p in m.at.items():
-            if hit.all() and len(rows) == tr.rows:
-                out[s] = p
-                continue
-            out[s] = np.zeros(tr.rows, np.int32)
-            out[s][rows[hit]] = p[hit]
-        return out
-
-
-def _regrown_counts(cands: list[Candidate], codes: dict[str, int], known: dict[str, Candidate]) -> Callable:
+            p = self.tr.table(pid)[:, 0].copy()
+            return Held({(pid, ()): p}, p < self.tr.far)
+        return _grown(self.tr, c, self, kernel.Work())
+
+
+def _regrown_counts(cands: list[Candidate], codes: dict[str, int], known: dict[str, Candidate], loops: str) -> Callable:
     """Kernel that grows candidates out of seeds whose places are made in the task itself, so that nothing is stored
     between levels. The counters hold the work on the candidates."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((len(cands), 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
-                w, tr = weight.to_numpy(), kernel.Traces(acts, codes)
-                places = Places(tr, known)
-                for i, c in enumerate(cands):
-                    work = kernel.Work()
-                    rows, m = _grown(tr, c, places, work)
-                    total[i, :3] += w[rows[m.end < tr.far]].sum(), work.realigned, work.reused
+                tr = kernel.Traces(acts, codes)
+                _count_grown(total, cands, tr, weight.to_numpy(), Places(tr, known), loops)
         yield _counter_batch(total)
 
     return run
@@ -265,18 +294,14 @@ def _advance(kept: list[Candidate], codes: dict[str, int], before: dict, after:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for acts, (case, own, weight, maps) in blocks(b, ["case_id", "acts", "weight", "maps"]):
+            for acts, (case, raw, weight, maps) in blocks(b, ["case_id", "acts", "weight", "maps"]):
                 tr = kernel.Traces(acts, codes)
                 stored = _unpack(maps, before, tr.rows)
                 cols = []
                 for c in kept:
-                    rows, m = _grown(tr, c, stored, kernel.Work())
-                    hit = m.end < tr.far
-                    for s in after[c.pid]:
-                        col = np.zeros(tr.rows, np.int32)
-                        col[rows[hit]] = m.at[s][hit]
-                        cols.append(col)
-                yield _with_maps(case, own, weight, cols, tr.rows)
+                    own = _grown(tr, c, stored, kernel.Work())
+                    cols += [np.where(own.hit, own.at[s], 0) for s in after[c.pid]]
+                yield _with_maps(case, raw, weight, cols, tr.rows)
 
     return run
 
@@ -336,7 +361,7 @@ def observed_words(coded: DataFrame, trees: list[Tree], codes: dict[str, int]) -
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[tuple[int, str]] = set()
-        for b in batches:
+        for b in gathered(batches):
             for acts, _ in blocks(b, []):
                 tr = kernel.Traces(acts, codes)
                 for i, t in enumerate(trees):
@@ -384,7 +409,7 @@ def match_order_counts(coded: DataFrame, trees: list[Tree], codes: dict[str, int
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((sum(map(len, spots)), 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
                 tr, w, k = kernel.Traces(acts, codes), weight.to_numpy(), 0
                 for t, own in zip(trees, spots, strict=True):
@@ -445,15 +470,29 @@ def mine_patterns(
     compress: bool = True,
     chunk: int = 2000,
     places: str = "regrown",
+    loops: str = "grown",
+    measure_precision: bool = False,
 ) -> MiningResult:
     """Frequent patterns of a log up to a depth.
 
-    ``mode``: ``growth``, ``scan`` or ``search``. ``maximality``: ``none`` or ``regular`` (trees of the construction of a
-    frequent tree go). ``choice_rule``: ``exact``, or ``paper`` for the union of the seeds' hits also within loop bodies.
+    ``mode``: ``growth``, ``scan`` or ``search``. ``maximality``: ``none``, ``regular`` (trees of the construction of a
+    frequent tree go) or ``generalized`` (generalised seeds of a frequent tree go too). ``choice_rule``: ``exact``, or
+    ``paper`` for the union of the seeds' hits also within loop bodies. ``and_order``: ``containment`` or ``match``.
     ``places`` (growth): ``regrown`` makes the places of seeds again within each task and reads only the log, ``stored``
-    writes those of a level in the shared folder, which pays where seeds cost more than reading their places.
+    writes those of a level in the shared folder, which pays where seeds cost more than reading their places. ``loops``
+    (growth): ``grown``, or ``realigned`` for the published rule that a changed loop is aligned again as a whole.
+    Precision is measured if ``min_precision`` or ``measure_precision`` asks for it, else it is null; ``maximal`` tells
+    whether a tree survives the rule named, or the regular one under ``none``.
     A level with more than ``max_candidates`` candidates raises; nothing is cut silently. An empty log has no patterns.
     """
+    for name, value, known in (
+        ("mode", mode, ("growth", "scan", "search")), ("maximality", maximality, ("none", "regular", "generalized")), ("choice_rule", choice_rule, ("exact", "paper")),
+        ("and_order", and_order, ("containment", "match")), ("places", places, ("regrown", "stored")), ("loops", loops, ("grown", "realigned")),
+    ):
+        if value not in known:
+            raise ValueError(f"{name} is {value!r}, not one of {', '.join(known)}")
+    if not (0 <= min_support <= 1 and 0 <= min_precision <= 1 and max_depth >= 1):
+        raise ValueError("thresholds lie between 0 and 1, and the depth is 1 at least")
     began = time.time()
     spark = log.sparkSession
     coded, codes = encode(log, compress)
@@ -461,8 +500,6 @@ def mine_patterns(
     need = min_count(min_support, n)
     level = 2
     layout = {a: [(a, ())] for a in codes}
-    if places not in ("regrown", "stored"):
-        raise ValueError(f"unknown way to keep places: {places}")
     stored = mode == "growth" and places == "stored"
     mapped = store(coded.mapInArrow(_first_maps(list(codes), codes), MAPPED)) if stored and codes else coded
     cands = {c.pid: c for c in (Candidate(t, (), t.left.label, t.right.label) for t in atomic_patterns(codes))}
@@ -473,7 +510,7 @@ def mine_patterns(
         if len(cands) > max_candidates:
             raise TooManyCandidates(f"{len(cands)} candidates of {level} leaves")
         started = time.time()
-        got = _evaluate(mapped, list(cands.values()), codes, mode, layout if stored else seeds, stored, choice_rule, chunk)
+        got = _evaluate(mapped, list(cands.values()), codes, mode, layout if stored else seeds, stored, choice_rule, chunk, loops)
         good = {pid: c for pid, c in cands.items() if got[pid][0] >= need}
         frequent |= {pid: got[pid][0] for pid in good}
         seeds |= good
@@ -495,19 +532,27 @@ def mine_patterns(
 
     trees = [parse_tree(p) for p in sorted(frequent)]
     ok = compactness(coded, trees, codes, need, min_order_count, and_order) if trees else []
-    prec = precision_table(coded, trees, codes) if trees and min_precision > 0 else [(0, 0, 1.0)] * len(trees)
-    dropped = set().union(*[construction_tree(t) for t in trees]) if maximality == "regular" and trees else set()
+    prec = [p for *_, p in precision_table(coded, trees, codes)] if trees and (min_precision > 0 or measure_precision) else [None] * len(trees)
+    dropped = not_maximal(trees, maximality)
     rows, kept = [], []
-    for t, c, (_, _, p) in zip(trees, ok, prec, strict=True):
+    for t, c, p in zip(trees, ok, prec, strict=True):
         pid = str(t)
-        if all(c.values()) and p >= min_precision and pid not in dropped:
+        if all(c.values()) and (p is None or p >= min_precision) and (maximality == "none" or pid not in dropped):
             s = seeds[pid]
-            rows.append((pid, str(s.tree), t.depth, t.n_leaves, t.op, int(frequent[pid]), round(frequent[pid] / n, 6), float(p), True, pid not in dropped, s.seed1, s.seed2))
+            rows.append((pid, str(s.tree), t.depth, t.n_leaves, t.op, int(frequent[pid]), round(frequent[pid] / n, 6), p, True, pid not in dropped, s.seed1, s.seed2))
             kept.append(t)
     return MiningResult(spark, rows, frequent, dag, counters, coded, codes, int(n), time.time() - began, kept)
 
 
-def _evaluate(log: DataFrame, cands: list[Candidate], codes: dict, mode: str, base: dict, stored: bool, choice_rule: str, chunk: int) -> dict[str, tuple[int, int, int, int]]:
+def not_maximal(trees: list[Tree], maximality: str = "regular") -> set[str]:
+    """Canonical words of trees that another one of the list makes redundant."""
+    out = set().union(*[construction_tree(t) for t in trees])
+    if maximality == "generalized":
+        out |= set().union(*[set(seed_kinds(t)) for t in trees])
+    return out
+
+
+def _evaluate(log: DataFrame, cands: list[Candidate], codes: dict, mode: str, base: dict, stored: bool, choice_rule: str, chunk: int, loops: str) -> dict[str, tuple[int, int, int, int]]:
     """Counters by candidate. Candidates with a choice always take the full way, as their union may not be grown.
 
     ``base``: the layout of stored places, or the frequent trees from which they are grown again."""
@@ -516,7 +561,7 @@ def _evaluate(log: DataFrame, cands: list[Candidate], codes: dict, mode: str, ba
     plain = [c for c in cands if not (mode == "growth" and not c.tree.has("xor"))]
     union = [c for c in plain if choice_rule == "paper" and c.op == "xor"]
     grown.sort(key=lambda c: (c.seed1, c.seed2))  # candidates with a seed in common follow each other
-    way = (lambda part: _growth_counts(part, codes, base)) if stored else (lambda part: _regrown_counts(part, codes, ancestors(part, base)))
+    way = (lambda part: _growth_counts(part, codes, base, loops)) if stored else (lambda part: _regrown_counts(part, codes, ancestors(part, base), loops))
     got = _in_chunks(log, grown, way, chunk)
     out |= dict(zip([c.pid for c in grown], got, strict=True))
     full = [c for c in plain if c not in union] if union else plain
@@ -533,7 +578,7 @@ def _union_counts(pairs: list[tuple[Tree, Tree]], codes: dict) -> Callable:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((len(pairs), 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
                 tr, w = kernel.Traces(acts, codes), weight.to_numpy()
                 hits: dict[str, np.ndarray] = {}
@@ -581,14 +626,14 @@ def growth_branches(log: DataFrame, tree: Tree, path: tuple[int, ...]) -> DataFr
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((1, 4), np.int64)
-        for b in batches:
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
                 tr = kernel.Traces(acts, codes)
                 one, two = (kernel.scan(tr, s, *_all(tr)) for s in (s1, s2))
-                rows = np.nonzero((one.end < tr.far) & (two.end < tr.far))[0]
+                valid = (one.end < tr.far) & (two.end < tr.far)
                 work = kernel.Work()
-                m = kernel.grow(tr, tree, path, one.at, two.at, rows, work)
-                total[0] += weight.to_numpy()[rows[m.end < tr.far]].sum(), work.realigned, work.reused, len(rows)
+                m = kernel.grow(tr, tree, path, one.at, two.at, valid, work)
+                total[0] += weight.to_numpy()[m.end < tr.far].sum(), work.realigned, work.reused, np.count_nonzero(valid)
         yield _counter_batch(total)
 
     got = _summed(coded, run).get(0, (0, 0, 0, 0))

@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
+import functools
 import json
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -14,46 +15,63 @@ from pyspark.sql.window import Window
 from motifspark.plans.tree import Tree, parse_tree
 
 from . import kernel
-from .mine import MiningResult, blocks
+from .log import store
+from .mine import MiningResult, blocks, gathered
 
+#: Boundaries (patterns times traces) that a task holds at a time.
+PAIR_CELLS = 8 << 20
 KINDS = ("follows", "spans", "inter_follows", "inter_spans")
 EDGES = "src string, dst string, kind string, n_num bigint, n_den bigint, support double"
 
 
-def pair_counts(coded: DataFrame, trees: list[Tree], codes: dict[str, int]) -> DataFrame:
+def pair_counts(coded: DataFrame, trees: list[Tree], codes: dict[str, int], chunk: int = 1024) -> DataFrame:
     """``src, dst, n_follows, n_spans, n_shared`` of ordered pairs that share a case.
 
     ``follows``: dst starts after src ends; ``spans``: src lies within dst. Pairs are compared inside each block
-    of traces, and one row per pair and task is shuffled.
+    of traces, and one row per pair and task is shuffled. Beyond ``chunk`` patterns each pass takes that many sources
+    and targets, so that counters and boundaries of a task stay within a bound whatever the number of patterns.
     """
-    pids = [str(t) for t in trees]
-    k = len(trees)
+    parts = [trees[at : at + chunk] for at in range(0, len(trees), chunk)] or [[]]
+    made = [coded.mapInArrow(_pair_kernel(src, dst, codes), PAIRS) for src in parts for dst in parts]
+    return functools.reduce(DataFrame.union, made).groupBy("src", "dst").agg(*[F.sum(c).alias(c) for c in ("n_follows", "n_spans", "n_shared")])
+
+
+PAIRS = "src string, dst string, n_follows bigint, n_spans bigint, n_shared bigint"
+
+
+def _pair_kernel(sources: list[Tree], targets: list[Tree], codes: dict[str, int]) -> Callable:
+    own = {str(t): t for t in [*sources, *targets]}
+    at = {pid: i for i, pid in enumerate(own)}
+    rows_of, cols_of = [at[str(t)] for t in sources], np.array([at[str(t)] for t in targets], np.int64)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((3, k, k), np.int64)
-        for b in batches:
+        total = np.zeros((3, len(sources), len(targets)), np.int64)
+        for b in gathered(batches):
             for acts, (weight,) in blocks(b, ["weight"]):
-                tr, w = kernel.Traces(acts, codes), weight.to_numpy()
-                rows, zero = np.arange(tr.rows), np.zeros(tr.rows, np.int32)
-                lo, hi, hit = (np.zeros((k, tr.rows), t) for t in (np.int32, np.int32, bool))
-                for i, t in enumerate(trees):
-                    m = kernel.scan(tr, t, rows, zero)
-                    lo[i], hi[i] = kernel.boundaries(t, m.at)
-                    hit[i] = m.end < tr.far
-                for i in range(k):
-                    own = np.nonzero(hit[i])[0]
-                    both, wi = hit[:, own], w[own]
-                    total[0, i] += (both & (hi[i, own] < lo[:, own])) @ wi
-                    total[1, i] += (both & (lo[:, own] <= lo[i, own]) & (hi[i, own] <= hi[:, own])) @ wi
-                    total[2, i] += both @ wi
+                step = max(1, PAIR_CELLS // max(1, len(own)))
+                for first in range(0, len(acts), step):
+                    tr, w = kernel.Traces(acts[first : first + step], codes), weight.to_numpy()[first : first + step]
+                    rows, zero = np.arange(tr.rows), np.zeros(tr.rows, np.int32)
+                    lo, hi, hit = (np.zeros((len(own), tr.rows), t) for t in (np.int32, np.int32, bool))
+                    for i, t in enumerate(own.values()):
+                        m = kernel.scan(tr, t, rows, zero)
+                        lo[i], hi[i] = kernel.boundaries(t, m.at)
+                        hit[i] = m.end < tr.far
+                    for k, i in enumerate(rows_of):
+                        cases = np.nonzero(hit[i])[0]
+                        both, wi = hit[cols_of][:, cases], w[cases]
+                        x, y = lo[cols_of][:, cases], hi[cols_of][:, cases]
+                        total[0, k] += (both & (hi[i, cases] < x)) @ wi
+                        total[1, k] += (both & (x <= lo[i, cases]) & (hi[i, cases] <= y)) @ wi
+                        total[2, k] += both @ wi
         src, dst = np.nonzero(total[2])
-        keep = src != dst
+        pids = list(own)
+        keep = np.array(rows_of, np.int64)[src] != cols_of[dst] if len(src) else np.zeros(0, bool)
         src, dst = src[keep], dst[keep]
-        cols = [pa.array([pids[i] for i in src], pa.string()), pa.array([pids[i] for i in dst], pa.string())]
-        yield pa.RecordBatch.from_arrays(cols + [pa.array(total[j, src, dst]) for j in range(3)], ["src", "dst", "n_follows", "n_spans", "n_shared"])
+        cols = [pa.array([pids[rows_of[i]] for i in src], pa.string()), pa.array([pids[cols_of[i]] for i in dst], pa.string())]
+        yield pa.RecordBatch.from_arrays(cols + [pa.array(total[j, src, dst]) for j in range(3)], [x.split()[0] for x in PAIRS.split(", ")])
 
-    made = coded.mapInArrow(run, "src string, dst string, n_follows bigint, n_spans bigint, n_shared bigint")
-    return made.groupBy("src", "dst").agg(*[F.sum(c).alias(c) for c in ("n_follows", "n_spans", "n_shared")])
+    return run
 
 
 def relations(result: MiningResult, tau_follow: float = 0.7, tau_span: float = 0.7, trees: list[Tree] | None = None, inter_only_if_missing: bool = False) -> DataFrame:
@@ -162,16 +180,24 @@ def reduce_edges(edges: DataFrame, kinds: tuple[str, ...] = ("follows", "spans")
     return edges.where(~F.col("kind").isin(*kinds)).unionByName(edges.join(own, ["src", "dst", "kind"], "left_semi"))
 
 
-def reduce_edges_joined(edges: DataFrame, kind: str) -> DataFrame:
-    """The same for one acyclic kind by joins alone: an edge goes if a path of two reachability steps replaces it."""
-    own = edges.where(F.col("kind") == kind).select("src", "dst").distinct()
-    reach = own
-    while True:
+def reduce_edges_joined(edges: DataFrame, kind: str, max_rounds: int = 40) -> DataFrame:
+    """The same for one acyclic kind by joins alone: an edge goes if a path of two reachability steps replaces it.
+
+    Reachability doubles its paths in each round; every round is written in the shared folder and read back. A cycle
+    raises, as does a graph whose paths are not closed after ``max_rounds``.
+    """
+    own = store(edges.where(F.col("kind") == kind).select("src", "dst").distinct())
+    reach, n = own, own.count()
+    for _ in range(max_rounds):
         step = reach.alias("a").join(reach.alias("b"), F.col("a.dst") == F.col("b.src")).select("a.src", "b.dst")
-        more = reach.union(step).distinct()
-        if more.count() == reach.count():
+        reach = store(reach.union(step).distinct())
+        if (more := reach.count()) == n:
             break
-        reach = more
+        n = more
+    else:
+        raise RuntimeError(f"paths are not closed after {max_rounds} rounds")
+    if not reach.where("src = dst").isEmpty():
+        raise ValueError(f"{kind} has a cycle; use reduce_edges")
     long = own.alias("a").join(reach.alias("b"), F.col("a.dst") == F.col("b.src")).select("a.src", "b.dst").distinct()
     return own.join(long, ["src", "dst"], "left_anti")
 

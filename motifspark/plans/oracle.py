@@ -20,7 +20,14 @@ EVENTS_OF = {
     "log_order_lines": "SELECT l_orderkey::VARCHAR AS case_id, l_returnflag || l_linestatus AS act, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_shipdate, l_linenumber, l_partkey, l_suppkey, l_returnflag || l_linestatus) AS pos FROM lineitem",
     "log_order_parts": "SELECT l_orderkey::VARCHAR AS case_id, p_type AS act, row_number() OVER (PARTITION BY l_orderkey ORDER BY l_shipdate, l_linenumber, l_partkey, l_suppkey, p_type) AS pos FROM lineitem JOIN part ON l_partkey = p_partkey",
     "log_conv": "SELECT conv_id::VARCHAR AS case_id, role AS act, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role) AS pos FROM conversations",
+    "log_user": "SELECT user_id::VARCHAR AS case_id, event_type AS act, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS pos FROM events",
+    "log_user_3day": "SELECT user_id::VARCHAR || '|' || (date_diff('day', DATE '2024-01-01', ts::DATE) // 3)::VARCHAR AS case_id, event_type AS act, row_number() OVER (PARTITION BY user_id, date_diff('day', DATE '2024-01-01', ts::DATE) // 3 ORDER BY ts, event_id) AS pos FROM events",
+    "log_user_day": "SELECT user_id::VARCHAR || '|' || strftime(ts, '%Y-%m-%d') AS case_id, event_type AS act, row_number() OVER (PARTITION BY user_id, strftime(ts, '%Y-%m-%d') ORDER BY ts, event_id) AS pos FROM events",
+    "log_cust_priority": "SELECT o_custkey::VARCHAR AS case_id, o_orderpriority AS act, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos FROM orders",
+    "log_cust_status_prio": "SELECT o_custkey::VARCHAR AS case_id, o_orderstatus || '-' || substr(o_orderpriority, 1, 1) AS act, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS pos FROM orders",
+    "log_conv_rich": "SELECT conv_id::VARCHAR AS case_id, role || '-' || least(length(text) // 150, 8)::VARCHAR AS act, row_number() OVER (PARTITION BY conv_id ORDER BY turn, role || '-' || least(length(text) // 150, 8)::VARCHAR) AS pos FROM conversations",
 }
+EVENTS_OF |= {f"log_sample{k}0": EVENTS_OF["log_cust_status_prio"] + f" WHERE o_custkey % 10 < {k}" for k in (3, 4)}
 ALPHABET = {"log_user_week": EVENT_TYPES, "log_cust_status": STATUS, "log_order_lines": LINE_KINDS, "log_conv": ROLES}
 
 
@@ -149,3 +156,115 @@ def bounds_sql(view: str, trees: list[str]) -> str:
         p = Places(view, t)
         parts.append(f"SELECT case_id, '{t}' AS tree, least({', '.join(p.all)})::INTEGER AS lo, greatest({', '.join(p.all)})::INTEGER AS hi FROM {p.over('log')} WHERE ({p.end}) IS NOT NULL")
     return " UNION ALL ".join(parts)
+
+
+def profile_sql(view: str) -> str:
+    return f"SELECT count(*) AS n_cases, sum(n)::BIGINT AS n_events, max(n) AS longest, count(DISTINCT trace) AS n_variants FROM ({traces_sql(view)})"
+
+
+#: A tree over two nodes is one number, as is a tree with a trace.
+NODES, TRACES = 100_000, 10_000_000
+TREE = "({op}::BIGINT * 100000 + {x}) * 100000 + {y}"
+PARTS = "t // 10000000000 AS op0, t // 100000 % 100000 AS x, t % 100000 AS y"
+
+
+def _hits(trees: str) -> str:
+    """``h``, a tree with a trace that has it, for trees ``t`` over nodes whose words and hits are known."""
+    own = f"(SELECT t, {PARTS} FROM {trees}) t"
+    words = "JOIN words a ON a.id = x JOIN words b ON b.id = y"
+    return (
+        f"SELECT t * {TRACES} + h.k AS h FROM {own} JOIN hb h ON h.id = x JOIN hb g ON g.id = y AND g.k = h.k WHERE op0 = 1 UNION ALL "
+        f"SELECT DISTINCT t * {TRACES} + k FROM {own} {words} JOIN lg ON s LIKE '%' || a.pat || '%' || b.pat || '%' WHERE op0 = 0 UNION ALL "
+        f"SELECT DISTINCT t * {TRACES} + k FROM {own} {words} JOIN words c ON c.id = x JOIN lg ON s LIKE '%' || a.pat || '%' || b.pat || '%' || c.pat || '%' WHERE op0 = 2"
+    )
+
+
+def _next(c: str, start: str) -> str:
+    found = f"strpos(substr(s, ({start}) + 1), {c})"
+    return f"CASE WHEN ({start}) IS NULL OR {found} = 0 THEN NULL ELSE ({start}) + {found} END"
+
+
+def _match_steps(node: str, start: str, tag: str) -> list[str]:
+    """Select lists that add the places and the end of a node ``op, ca, cb`` to a table with the trace ``s``."""
+    op, a, b = f"{node}op", f"{node}a", f"{node}b"
+    first, end = f"{tag}1", f"{tag}e"
+    other = f"CASE WHEN {op} IS NULL THEN NULL WHEN {op} IN (0, 2) THEN {_next(b, first)} ELSE {_next(b, start)} END"
+    third = f"CASE WHEN {op} = 2 THEN {_next(a, f'{tag}2')} END"
+    return [
+        f"{_next(a, start)} AS {first}",
+        f"{other} AS {tag}2",
+        f"{third} AS {tag}3",
+        f"CASE WHEN {op} IS NULL THEN {tag}1 WHEN {op} = 0 THEN {tag}2 WHEN {op} = 1 THEN CASE WHEN {tag}1 IS NOT NULL AND {tag}2 IS NOT NULL THEN greatest({tag}1, {tag}2) END WHEN {op} = 2 THEN {tag}3 ELSE least({tag}1, {tag}2) END AS {end}",
+    ]
+
+
+def _precision(table: str) -> str:
+    """CTE body ``t, precision``: distinct words of the leftmost matches over the words of two rounds of loops."""
+    rows = f"SELECT f.t, f.op0, a.op AS xop, a.ca AS xa, a.cb AS xb, b.op AS yop, b.ca AS ya, b.cb AS yb, s FROM {table} f JOIN nd a ON a.id = f.x JOIN nd b ON b.id = f.y, lg"
+    for step in (*_match_steps("x", "0", "p"), *_match_steps("y", "CASE WHEN op0 = 1 THEN 0 ELSE pe END", "q"), *_match_steps("x", "CASE WHEN op0 = 2 THEN qe END", "r")):
+        rows = f"SELECT *, {step} FROM ({rows})"
+    # a choice that lies later is not taken
+    places = [(f"{t}{k}", f"{node}{'b' if k == 2 else 'a'}", f"({node}op IS DISTINCT FROM 3 OR {t}{k} = {t}e)") for t, node in (("p", "x"), ("q", "y"), ("r", "x")) for k in (1, 2, 3)]
+    pairs = ", ".join(f"CASE WHEN {place} IS NOT NULL AND {taken} THEN lpad({place}::VARCHAR, 9, '0') || {c} END" for place, c, taken in places)
+    word = f"array_to_string(list_transform(list_sort(list_filter([{pairs}], lambda v: v IS NOT NULL)), lambda v: substr(v, 10)), '')"
+    end = "CASE op0 WHEN 0 THEN qe WHEN 1 THEN CASE WHEN pe IS NOT NULL THEN qe END ELSE re END"
+    n = lambda node: f"CASE WHEN any_value({node}op) IN (1, 3) THEN 2 ELSE 1 END"
+    size = lambda node: f"CASE WHEN any_value({node}op) IN (0, 1) THEN 2 WHEN any_value({node}op) = 2 THEN 3 ELSE 1 END"
+    merges = f"factorial(({size('x')} + {size('y')})::INTEGER) / (factorial(({size('x')})::INTEGER) * factorial(({size('y')})::INTEGER))"
+    total = f"({n('x')}) * ({n('y')}) * CASE any_value(op0) WHEN 1 THEN {merges} WHEN 2 THEN ({n('x')}) ELSE 1 END"
+    return f"SELECT t, count(DISTINCT word) / ({total}) AS precision FROM (SELECT *, {word} AS word FROM ({rows}) WHERE ({end}) IS NOT NULL) GROUP BY t"
+
+
+def lattice_sql(view: str, tau: float, choices: bool = True, reported: bool = False, columns: str = "tree, n AS n_hits", where: str = "TRUE", precise: bool = False) -> str:
+    """Mining to depth 2 wholly in SQL: trees are made level by level out of the counts, over the distinct traces.
+
+    A tree is an operator (0 seq, 1 and, 2 loop, 3 xor) over two nodes, each an activity or an operator over two
+    activities; nodes are numbered in the order of their texts, so that children of ``and`` are ordered by number.
+    ``reported`` leaves out regular seeds of frequent trees and trees of which some concurrency is seen in one order only.
+    ``precise`` adds the column ``precision``.
+    """
+    ops = "(VALUES (0, 'seq'), (1, 'and'), (2, 'loop')" + (", (3, 'xor')" if choices else "") + ") AS o(op, word)"
+    # two seeds that differ in one leaf: frequent ones meet under a constraining operator, infrequent ones under a choice
+    allowed = "(q.op <> 3 AND u.n >= need.n AND v.n >= need.n OR q.op = 3 AND u.n BETWEEN 1 AND need.n - 1 AND v.n BETWEEN 1 AND need.n - 1 AND u.n + v.n >= need.n)"
+    tree = lambda x, y, op="u.op0": f"CASE WHEN {op} = 1 THEN {TREE.format(op=op, x=f'least({x}, {y})', y=f'greatest({x}, {y})')} ELSE {TREE.format(op=op, x=x, y=y)} END"
+    counted = lambda g: f"SELECT t, {PARTS}, coalesce(f.n, 0) AS n FROM (SELECT DISTINCT t FROM {g}) LEFT JOIN (SELECT h // {TRACES} AS t, sum(w)::BIGINT AS n FROM ({_hits(f'(SELECT DISTINCT t FROM {g})')}) JOIN lg ON k = h % {TRACES} GROUP BY h // {TRACES}) f USING (t)"
+    ctes = [
+        f"ev AS ({EVENTS_OF[view]})",
+        "codes AS MATERIALIZED (SELECT act, chr(96 + row_number() OVER (ORDER BY act)::INTEGER) AS c FROM (SELECT DISTINCT act FROM ev))",
+        "lg AS MATERIALIZED (SELECT row_number() OVER (ORDER BY s) AS k, s, count(*) AS w FROM (SELECT string_agg(c, '' ORDER BY pos) AS s FROM ev JOIN codes USING (act) GROUP BY case_id) GROUP BY s)",
+        f"need AS MATERIALIZED (SELECT greatest(1, ceil({tau} * sum(w) - 1e-9))::BIGINT AS n FROM lg)",
+        f"texts AS (SELECT NULL AS op, act AS name, act AS a, NULL AS b, c AS ca, NULL AS cb FROM codes UNION ALL SELECT op, word || '(' || x.act || ',' || y.act || ')', x.act, y.act, x.c, y.c FROM {ops}, codes x, codes y WHERE x.act <> y.act AND (op IN (0, 2) OR x.act < y.act))",
+        "nd AS MATERIALIZED (SELECT row_number() OVER (ORDER BY name) AS id, * FROM texts)",
+        "pair AS MATERIALIZED (SELECT p.id, p.op, a.id AS a, b.id AS b FROM nd p JOIN nd a ON a.name = p.a AND a.op IS NULL JOIN nd b ON b.name = p.b AND b.op IS NULL)",
+        "words AS MATERIALIZED (SELECT id, ca AS pat FROM nd WHERE op IS NULL OR op = 3 UNION ALL SELECT id, cb FROM nd WHERE op = 3 UNION ALL SELECT id, ca || '%' || cb FROM nd WHERE op IN (0, 1) "
+        "UNION ALL SELECT id, cb || '%' || ca FROM nd WHERE op = 1 UNION ALL SELECT id, ca || '%' || cb || '%' || ca FROM nd WHERE op = 2)",
+        f"hb AS MATERIALIZED (SELECT h // {TRACES} AS id, h % {TRACES} AS k FROM (SELECT DISTINCT id * {TRACES} + k AS h FROM words JOIN lg ON s LIKE '%' || pat || '%'))",
+        f"g2 AS MATERIALIZED (SELECT {tree('a', 'b', 'op')} AS t FROM pair WHERE op <> 3)",
+        f"n2 AS MATERIALIZED ({counted('g2')})",
+        "r2 AS MATERIALIZED (SELECT op0, x, y, n, t FROM n2 UNION ALL SELECT op0, y, x, n, t FROM n2 WHERE op0 = 1)",
+        f"g3 AS MATERIALIZED (SELECT {tree('u.x', 'q.id')} AS t, u.t AS s1, v.t AS s2 FROM r2 u JOIN r2 v ON v.op0 = u.op0 AND v.x = u.x AND v.y <> u.y JOIN pair q ON q.a = u.y AND q.b = v.y, need WHERE {allowed} UNION ALL "
+        f"SELECT {tree('q.id', 'u.y')}, u.t, v.t FROM r2 u JOIN r2 v ON v.op0 = u.op0 AND v.y = u.y AND v.x <> u.x JOIN pair q ON q.a = u.x AND q.b = v.x, need WHERE {allowed})",
+        f"n3 AS MATERIALIZED ({counted('g3')})",
+        "r3 AS MATERIALIZED (SELECT op0, n, x AS p, y AS c, t FROM n3 WHERE x IN (SELECT id FROM pair) UNION ALL SELECT op0, n, y, x, t FROM n3 WHERE op0 = 1 AND y IN (SELECT id FROM pair))",
+        f"g4 AS MATERIALIZED (SELECT {tree('u.p', 'q.id')} AS t, u.t AS s1, v.t AS s2 FROM r3 u JOIN r3 v ON v.op0 = u.op0 AND v.p = u.p AND v.c <> u.c JOIN pair q ON q.a = u.c AND q.b = v.c, need WHERE {allowed})",
+        f"n4 AS MATERIALIZED ({counted('g4')})",
+        "freq AS MATERIALIZED (SELECT f.* FROM (SELECT * FROM n2 UNION ALL SELECT * FROM n3 UNION ALL SELECT * FROM n4) f, need WHERE f.n >= need.n)",
+    ]
+    if reported:
+        key = lambda x, y, op="f.op0": TREE.format(op=op, x=x, y=y)
+        swap = "SELECT f.t AS own, {v} AS t FROM freq f JOIN pair p ON p.id = f.{side} AND p.op = 1 JOIN pair v ON v.op = 0 AND (v.a = p.a AND v.b = p.b OR v.a = p.b AND v.b = p.a)"
+        whole = "SELECT t, {0} FROM freq f WHERE op0 = 1"
+        made = "(SELECT * FROM g3 UNION ALL SELECT * FROM g4)"
+        ctes += [
+            f"made AS MATERIALIZED {made}", "used AS MATERIALIZED (SELECT m.s1, m.s2 FROM made m WHERE m.t IN (SELECT f.t FROM freq f))", "low AS MATERIALIZED (SELECT s1 AS seed FROM used UNION ALL SELECT s2 FROM used)",
+            f"var AS MATERIALIZED ({swap.format(v=key('v.id', 'f.y'), side='x')} UNION ALL {swap.format(v=key('f.x', 'v.id'), side='y')} UNION ALL {whole.format(key('x', 'y', '0'))} UNION ALL {whole.format(key('y', 'x', '0'))})",
+            f"seen AS MATERIALIZED (SELECT DISTINCT h // {TRACES} AS t FROM ({_hits('(SELECT DISTINCT t FROM var)')}))",
+            "one_sided AS MATERIALIZED (SELECT own FROM var WHERE t NOT IN (SELECT t FROM seen))",
+            "kept AS MATERIALIZED (SELECT t, op0, x, y, n FROM freq WHERE t NOT IN (SELECT seed FROM low) AND t NOT IN (SELECT own FROM one_sided))",
+        ]
+    table = "kept" if reported else "freq"
+    if precise:
+        ctes += [f"prec AS MATERIALIZED ({_precision(table)})", f"rated AS (SELECT op0, x, y, n, precision FROM {table} JOIN prec USING (t))"]
+        table = "rated"
+    ctes.append(f"named AS (SELECT CASE op0 WHEN 0 THEN 'seq' WHEN 1 THEN 'and' ELSE 'loop' END || '(' || names[x] || ',' || names[y] || ')' AS tree, n, n_cases{', precision' if precise else ''} FROM {table}, (SELECT list(name ORDER BY id) AS names FROM nd), (SELECT sum(w) AS n_cases FROM lg))")
+    return f"WITH {', '.join(ctes)} SELECT {columns} FROM named WHERE {where}"

@@ -45,7 +45,7 @@ def _trace(log: DataFrame) -> DataFrame:
 for _view in ("log_user_week", "log_cust_status", "log_order_lines", "log_conv", "log_order_parts", "log_user_week_rich"):
     query(_view, O.traces_sql(_view))(lambda s, d, v=_view: _trace(V.VIEWS[v](s, d)))
 for _view in ("log_user", "log_user_3day", "log_user_day", "log_cust_priority", "log_cust_status_prio", "log_conv_rich"):
-    query(f"{_view}_profile")(
+    query(f"{_view}_profile", O.profile_sql(_view))(
         lambda s, d, v=_view: V.VIEWS[v](s, d).agg(F.count("*").alias("n_cases"), F.sum("n").alias("n_events"), F.max("n").alias("longest"), F.countDistinct("acts").alias("n_variants"))
     )
 
@@ -177,10 +177,9 @@ def grown_places(log: DataFrame, tree: str, names: dict[str, str]) -> DataFrame:
                 tr = kernel.Traces(acts, codes)
                 rows, zero = np.arange(tr.rows), np.zeros(tr.rows, np.int32)
                 one, two = kernel.scan(tr, s1, rows, zero), kernel.scan(tr, s2, rows, zero)
-                rows = np.nonzero((one.end < tr.far) & (two.end < tr.far))[0]
-                m = kernel.grow(tr, t, path, one.at, two.at, rows)
-                hit = m.end < tr.far
-                cols = [case.take(pa.array(rows[hit]))] + [pa.array(m.at[a, ()][hit].astype(np.int32)) for a in names]
+                m = kernel.grow(tr, t, path, one.at, two.at, (one.end < tr.far) & (two.end < tr.far))
+                hit = np.flatnonzero(m.end < tr.far)
+                cols = [case.take(pa.array(hit))] + [pa.array(m.at[a, ()][hit].astype(np.int32)) for a in names]
                 yield pa.RecordBatch.from_arrays(cols, ["case_id", *names.values()])
 
     return coded.mapInArrow(run, "case_id string, " + ", ".join(f"{n} int" for n in names.values()))
@@ -314,8 +313,6 @@ ALL4 = ("seq", "and", "loop", "xor")
 CUST_TREES = sorted(all_trees(list(O.STATUS), 2, ALL4))
 CONV_TREES = sorted(all_trees(list(O.ROLES), 2, ALL4))
 WEEK_TREES = sorted(all_trees(list(O.EVENT_TYPES), 2))
-WEEK_3 = sorted(all_trees(list(O.EVENT_TYPES), 2, ALL4, max_leaves=3))
-LINE_TREES = sorted(all_trees(list(O.LINE_KINDS), 2, ALL4, max_leaves=3))
 
 
 def _frequent(r: mine.MiningResult, where: Callable[[Tree], bool] = lambda t: True) -> DataFrame:
@@ -352,10 +349,10 @@ def level3_frequent_cust(s: SparkSession, d: str) -> DataFrame:
     return _frequent(mine.mine_patterns(V.log_cust_status(s, d), 0.7, mode="scan"), lambda t: t.n_leaves == 3)
 
 
-@query("choice_union_lines", O.mined_sql("log_order_lines", LINE_TREES, 0.25, where="tree LIKE '%xor%'"))
+@query("choice_union_lines", O.lattice_sql("log_order_lines", 0.25, where="tree LIKE '%xor%'"))
 def choice_union_lines(s: SparkSession, d: str) -> DataFrame:
-    """Choices of infrequent seeds; no tree without a choice is frequent in this log."""
-    return _frequent(mine.mine_patterns(V.log_order_lines(s, d), 0.25, max_leaves=3, choice_rule="paper"), lambda t: t.has("xor"))
+    """Choices of infrequent seeds, counted as unions; no tree without a choice is frequent in this log."""
+    return _frequent(mine.mine_patterns(V.log_order_lines(s, d), 0.25, choice_rule="paper"), lambda t: t.has("xor"))
 
 
 @query("mine_cust_status_d2_all", O.mined_sql("log_cust_status", CUST_TREES, 0.7, RATIO))
@@ -384,34 +381,86 @@ def mine_user_week_d2(s: SparkSession, d: str) -> DataFrame:
     return _frequent(mine.mine_patterns(V.log_user_week(s, d), 0.5, choices=False))
 
 
-@query("mine_user_week_choices", O.mined_sql("log_user_week", WEEK_3, 0.6))
+REPORTED = "tree, n AS n_hits, round(n / n_cases, 6) AS support"
+PRECISE = REPORTED + ", round(precision, 6) AS precision"
+
+
+def _precise(r: mine.MiningResult) -> DataFrame:
+    return r.patterns.select(F.col("pid").alias("tree"), "n_hits", "support", F.round("precision", 6).alias("precision"))
+
+
+@query("mine_user_week_choices", O.lattice_sql("log_user_week", 0.6))
 def mine_user_week_choices(s: SparkSession, d: str) -> DataFrame:
-    return _frequent(mine.mine_patterns(V.log_user_week(s, d), 0.6, max_leaves=3))
+    return _frequent(mine.mine_patterns(V.log_user_week(s, d), 0.6))
 
 
-@query("mine_user_week_rich_d2")
+@query("mine_user_week_rich_d2", O.lattice_sql("log_user_week_rich", 0.2, False, True, REPORTED))
 def mine_user_week_rich_d2(s: SparkSession, d: str) -> DataFrame:
     """Many activities: trees without choices, of which there are hundreds already."""
     return _reported(mine.mine_patterns(V.log_user_week_rich(s, d), 0.2, choices=False))
 
 
-@query("mine_order_lines_d2_choice", O.mined_sql("log_order_lines", LINE_TREES, 0.25, kept=True))
+@query("mine_user_week_rich_choices", O.lattice_sql("log_user_week_rich", 0.3, True, True, REPORTED))
+def mine_user_week_rich_choices(s: SparkSession, d: str) -> DataFrame:
+    return _reported(mine.mine_patterns(V.log_user_week_rich(s, d), 0.3))
+
+
+@query("mine_order_lines_d2_choice", O.lattice_sql("log_order_lines", 0.25))
 def mine_order_lines_d2_choice(s: SparkSession, d: str) -> DataFrame:
-    return _reported(mine.mine_patterns(V.log_order_lines(s, d), 0.25, max_leaves=3)).drop("support")
+    """The choice-only log: all frequent trees."""
+    return _frequent(mine.mine_patterns(V.log_order_lines(s, d), 0.25))
 
 
-@query("mine_order_lines_d2_full")
+@query("mine_order_lines_d2_full", O.lattice_sql("log_order_lines", 0.25, True, True, REPORTED))
 def mine_order_lines_d2_full(s: SparkSession, d: str) -> DataFrame:
     return _reported(mine.mine_patterns(V.log_order_lines(s, d), 0.25))
 
 
-@query("mine_conv_rich_d2")
+@query("mine_conv_rich_d2", O.lattice_sql("log_conv_rich", 0.3, True, True, REPORTED))
 def mine_conv_rich_d2(s: SparkSession, d: str) -> DataFrame:
     return _reported(mine.mine_patterns(V.log_conv_rich(s, d), 0.3))
 
 
 for _keep in (3, 4):
-    query(f"mine_sample{_keep}0_d2")(lambda s, d, k=_keep: _reported(mine.mine_patterns(V.log_cust_status_prio(s, d, k), 0.15, choices=False)))
+    query(f"mine_sample{_keep}0_d2", O.lattice_sql(f"log_sample{_keep}0", 0.15, False, True, REPORTED))(lambda s, d, k=_keep: _reported(mine.mine_patterns(V.log_cust_status_prio(s, d, k), 0.15, choices=False)))
+
+
+@query("mine_cust_status_prio_d2", O.lattice_sql("log_cust_status_prio", 0.15, False, True, REPORTED))
+def mine_cust_status_prio_d2(s: SparkSession, d: str) -> DataFrame:
+    """The log that the samples are drawn from, over all customers."""
+    return _reported(mine.mine_patterns(V.log_cust_status_prio(s, d), 0.15, choices=False))
+
+
+# support and precision of at least 0.7, depth 2: the configuration of the experiments
+for _view in ("log_cust_status", "log_conv"):
+    query(_view.replace("log_", "mine_") + "_default", O.lattice_sql(_view, 0.7, True, True, PRECISE, "precision >= 0.7", precise=True))(
+        lambda s, d, v=_view: _precise(mine.mine_patterns(V.VIEWS[v](s, d), min_support=0.7, min_precision=0.7))
+    )
+
+
+@query("mine_conv_rich_precise", O.lattice_sql("log_conv_rich", 0.3, True, True, PRECISE, "precision >= 0.7", precise=True))
+def mine_conv_rich_precise(s: SparkSession, d: str) -> DataFrame:
+    return _precise(mine.mine_patterns(V.log_conv_rich(s, d), 0.3, min_precision=0.7))
+
+
+@query("mine_user_week_precise", O.lattice_sql("log_user_week", 0.5, False, True, PRECISE, "precision >= 0.7", precise=True))
+def mine_user_week_precise(s: SparkSession, d: str) -> DataFrame:
+    return _precise(mine.mine_patterns(V.log_user_week(s, d), 0.5, min_precision=0.7, choices=False))
+
+
+# depth 3, on logs with more activities than three
+@query("mine_user_week_d3")
+def mine_user_week_d3(s: SparkSession, d: str) -> DataFrame:
+    return _reported(mine.mine_patterns(V.log_user_week(s, d), 0.6, max_depth=3, choices=False))
+
+
+@query("mine_conv_rich_d3")
+def mine_conv_rich_d3(s: SparkSession, d: str) -> DataFrame:
+    return _reported(mine.mine_patterns(V.log_conv_rich(s, d), 0.3, max_depth=3, choices=False))
+
+
+for _keep in (3, 4):
+    query(f"mine_sample{_keep}0_d3")(lambda s, d, k=_keep: _reported(mine.mine_patterns(V.log_cust_status_prio(s, d, k), 0.2, max_depth=3, choices=False)))
 
 
 @query("mine_modes_agree_cust", "SELECT * FROM (VALUES ('growth-scan', 0), ('growth-search', 0)) AS t(pair, n_diff)")

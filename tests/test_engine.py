@@ -100,19 +100,19 @@ def test_growth_equals_scan():
     rng = random.Random(7)
     traces = [[rng.choice("abcdef") for _ in range(rng.randrange(0, 22))] for _ in range(300)]
     tried = 0
-    for _ in range(150):
-        t = random_tree(rng, rng.sample("abcdef", rng.randrange(2, 6)), ("seq", "and", "seq", "loop"))
+    for _ in range(400):
+        t = random_tree(rng, rng.sample("abcdef", rng.randrange(2, 7)), ("seq", "and", "loop"))
         s1, s2, _, _ = regular_seeds(t)
         path = max(p for p, x in t.leaves() if len(p) == t.depth)[:-1]
         tr = coded(traces)
         rows, zero = np.arange(tr.rows), np.zeros(tr.rows, np.int32)
         one, two, full = (kernel.scan(tr, x, rows, zero, shared=False) for x in (s1, s2, t))
-        rows = np.nonzero((one.end < tr.far) & (two.end < tr.far))[0]
-        got = kernel.grow(tr, t, path, one.at, two.at, rows)
-        hit = full.end[rows] < tr.far
-        assert ((got.end < tr.far) == hit).all() and (full.end < tr.far).sum() == hit.sum()
-        for s, p in full.at.items():
-            assert (got.at[s][hit] == p[rows][hit]).all(), (str(t), s)
+        hit = full.end < tr.far
+        for loops in ("grown", "realigned"):
+            got = kernel.grow(tr, t, path, one.at, two.at, (one.end < tr.far) & (two.end < tr.far), loops=loops)
+            assert ((got.end < tr.far) == hit).all()
+            for s, p in full.at.items():
+                assert (got.at[s][hit] == p[hit]).all(), (str(t), s)
         tried += int(hit.sum())
     assert tried > 1000
 
@@ -126,10 +126,10 @@ def test_worked_examples():
         assert (found.places if found.hit else None) == places
     t = parse_tree(Q.GROWTH_TREE)
     tr = coded([Q.GROWTH_TRACE.split()])
-    row, zero = np.array([0]), np.zeros(1, np.int32)
+    row, zero, valid = np.array([0]), np.zeros(1, np.int32), np.array([True])
     s1, s2, _, _ = regular_seeds(t)
     work = kernel.Work()
-    m = kernel.grow(tr, t, (0, 0, 0), kernel.scan(tr, s1, row, zero).at, kernel.scan(tr, s2, row, zero).at, row, work)
+    m = kernel.grow(tr, t, (0, 0, 0), kernel.scan(tr, s1, row, zero).at, kernel.scan(tr, s2, row, zero).at, valid, work)
     assert {s[0]: int(p[0]) for s, p in m.at.items()} == {"b": 5, "a": 7, "c": 9, "d": 10, "f": 11, "e": 12}
     assert (work.realigned, work.reused) == (2, 4)
 
@@ -257,6 +257,8 @@ def test_places_beyond_their_room_are_grown_again():
         known[c.pid] = c
     wide, narrow = mine.Places(tr, known), mine.Places(tr, known, room=0)
     for pid in [*known, *reversed(list(known))]:
-        for s, p in wide[pid].items():
-            assert (narrow[pid][s] == p).all()
+        own = wide[pid]
+        assert (narrow[pid].hit == own.hit).all()
+        for s, p in own.at.items():
+            assert (narrow[pid].at[s][own.hit] == p[own.hit]).all()
     assert len(narrow._held) == 2 < len(wide._held)
