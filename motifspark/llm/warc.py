@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import durable, new_folder, sized_broadcast
+from .common import durable, measured_bytes, new_folder
 
 VERSION = b"WARC/1.1\r\n"
 END = "\r\n\r\n"
@@ -94,15 +94,20 @@ def write_archives(pages: DataFrame, path: str, spec: ArchiveSpec | None = None,
 
     Null payloads count as empty; a null id never refers nor is referred to; repeated rows of the least id are
     responses each. Only digests that occur more than once are joined; their table is broadcast below a
-    bound, so payloads are shuffled only where repeats are many.
+    bound, so payloads are shuffled, by page, only where repeats are many.
     """
     spec = spec or ArchiveSpec()
     payload = F.coalesce(F.col(html_col).cast("string").cast("binary"), F.lit(b""))
     own = pages.select(F.col(id_col).cast("long").alias("page_id"), F.col(url_col).cast("string").alias("url"), payload.alias("payload"))
     own = own.withColumn("d", F.when(F.octet_length("payload") >= spec.min_bytes, F.sha1("payload")))
     firsts = own.where("d is not null and page_id is not null").groupBy("d").agg(F.min("page_id").alias("first_id"), F.count("*").alias("n"))
-    firsts = sized_broadcast(durable(firsts.where("n > 1").drop("n")), spec.broadcast_bytes)
-    joined = own.join(firsts, "d", "left").select("page_id", "url", "payload", "first_id")
+    firsts = durable(firsts.where("n > 1").drop("n"))
+    if measured_bytes(firsts) <= spec.broadcast_bytes:
+        joined = own.join(F.broadcast(firsts), "d", "left").select("page_id", "url", "payload", "first_id")
+    else:  # digests meet without their payloads, which then travel by page and not by a digest that many may share
+        roles = own.where("page_id is not null").select("page_id", "d").join(firsts, "d").where("first_id <> page_id").distinct()
+        roles = durable(roles).select(F.col("page_id").alias("i"), F.col("d").alias("k"), "first_id")
+        joined = own.join(roles, (F.col("page_id") == F.col("i")) & (F.col("d") == F.col("k")), "left").select("page_id", "url", "payload", "first_id")
     size = own.agg(F.avg(F.octet_length("payload"))).first()[0] or 0.0
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
