@@ -159,6 +159,17 @@ def test_language_held_out_accuracy(spark):
     assert got.where("rejected").count() < 0.02 * docs.count()
 
 
+def test_letters_are_of_category_l():
+    assert langid.letters_only("½ ² ① ⅷ 3 _") == "" and langid.letters_only("Ab½cⅧ d_1e") == "ab c d e"
+
+
+def test_secrets_in_a_very_long_text(spark):
+    tokens = [hashlib.md5(str(i).encode()).hexdigest() for i in range(20_000)]
+    docs = spark.createDataFrame([(1, " ".join(tokens)), (2, "password=\ufdd0abcdefgh" + tokens[0])], "doc_id long, text string")
+    got = {r["doc_id"]: r["text"] for r in secrets.redact(docs).collect()}
+    assert got[1] == " ".join(["[SECRET]"] * len(tokens)) and got[2] == "password=\ufdd0abcdefgh[SECRET]"
+
+
 def test_language_of_odd_texts(spark, docs, odd, empty):
     model = langid.fit(docs)
     got = langid.identify(odd, model).collect()
@@ -225,6 +236,8 @@ def test_chat_collapse(spark, empty):
     assert got[2]["text"] == "<|im_start|>user\nhi<|im_end|>\n<|im_start|>assistant\nhello<|im_end|>\n<|im_start|>user\nmore<|im_end|>\n"
     assert got[4]["n_copies"] == 2 and "< |im_end|>" in got[None]["text"]
     assert chat.format_chats(turns.limit(0)).count() == 0
+    lost = spark.createDataFrame([(None, 0, "user", "a"), (None, 0, "user", "b"), (None, 0, "user", "a"), (9, 0, "user", "a")], "conv_id long, turn long, role string, text string")
+    assert sorted((str(r["conv_id"]), r["n_copies"]) for r in chat.format_chats(lost).collect()) == [("9", 2), ("None", 1)]
 
 
 PAGE = """<html><head><title>T</title><script>var a="</p>";</script></head><body><nav><li>Menu</li></nav><div class="ad">Buy</div>
@@ -531,6 +544,7 @@ def test_warc_round_trip(spark):
     pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("d", F.lit(0))
     got = warc.round_trip(pages, warc.ArchiveSpec(segment_bytes=10_000, chunk_bytes=999)).collect()
     assert not [r for r in got if r["problem"]] and len(got) == len(rows)
+    assert Counter(warc.round_trip(pages, warc.ArchiveSpec(segment_bytes=10_000, chunk_bytes=999, broadcast_bytes=0)).collect()) == Counter(got)
     first = {}
     for i, _, h in rows:
         if i is not None:
