@@ -221,7 +221,8 @@ def lattice_sql(view: str, tau: float, choices: bool = True, reported: bool = Fa
     A tree is an operator (0 seq, 1 and, 2 loop, 3 xor) over two nodes, each an activity or an operator over two
     activities; nodes are numbered in the order of their texts, so that children of ``and`` are ordered by number.
     ``reported`` leaves out regular seeds of frequent trees and trees of which some concurrency is seen in one order only.
-    ``precise`` adds the column ``precision``.
+    ``precise`` adds the column ``precision``. That a choice has not just one frequent branch is not asked, which matters
+    only where both children of a tree are choices.
     """
     ops = "(VALUES (0, 'seq'), (1, 'and'), (2, 'loop')" + (", (3, 'xor')" if choices else "") + ") AS o(op, word)"
     # two seeds that differ in one leaf: frequent ones meet under a constraining operator, infrequent ones under a choice
@@ -254,9 +255,17 @@ def lattice_sql(view: str, tau: float, choices: bool = True, reported: bool = Fa
         key = lambda x, y, op="f.op0": TREE.format(op=op, x=x, y=y)
         swap = "SELECT f.t AS own, {v} AS t FROM freq f JOIN pair p ON p.id = f.{side} AND p.op = 1 JOIN pair v ON v.op = 0 AND (v.a = p.a AND v.b = p.b OR v.a = p.b AND v.b = p.a)"
         whole = "SELECT t, {0} FROM freq f WHERE op0 = 1"
-        made = "(SELECT * FROM g3 UNION ALL SELECT * FROM g4)"
+
+        def seeds(table: str) -> str:
+            """Both seeds of all orders of the trees; a node of two activities on the left is collapsed if it may be the last."""
+            right = [f"SELECT {tree('f.x', f'q.{side}', 'f.op0')} AS t FROM {table} f JOIN pair q ON q.id = f.y" for side in "ab"]
+            left = [f"SELECT {tree(f'q.{side}', 'f.y', 'f.op0')} FROM {table} f JOIN pair q ON q.id = f.x WHERE f.op0 = 1 OR f.y NOT IN (SELECT id FROM pair)" for side in "ab"]
+            return " UNION ALL ".join(right + left)
+
         ctes += [
-            f"made AS MATERIALIZED {made}", "used AS MATERIALIZED (SELECT m.s1, m.s2 FROM made m WHERE m.t IN (SELECT f.t FROM freq f))", "low AS MATERIALIZED (SELECT s1 AS seed FROM used UNION ALL SELECT s2 FROM used)",
+            f"low3 AS MATERIALIZED ({seeds('freq')})",
+            f"low2 AS MATERIALIZED ({seeds(f'(SELECT {PARTS} FROM low3)')})",
+            "low AS MATERIALIZED (SELECT t AS seed FROM low3 UNION ALL SELECT t FROM low2)",
             f"var AS MATERIALIZED ({swap.format(v=key('v.id', 'f.y'), side='x')} UNION ALL {swap.format(v=key('f.x', 'v.id'), side='y')} UNION ALL {whole.format(key('x', 'y', '0'))} UNION ALL {whole.format(key('y', 'x', '0'))})",
             f"seen AS MATERIALIZED (SELECT DISTINCT h // {TRACES} AS t FROM ({_hits('(SELECT DISTINCT t FROM var)')}))",
             "one_sided AS MATERIALIZED (SELECT own FROM var WHERE t NOT IN (SELECT t FROM seen))",

@@ -400,11 +400,6 @@ def mine_user_week_rich_d2(s: SparkSession, d: str) -> DataFrame:
     return _reported(mine.mine_patterns(V.log_user_week_rich(s, d), 0.2, choices=False))
 
 
-@query("mine_user_week_rich_choices", O.lattice_sql("log_user_week_rich", 0.3, True, True, REPORTED))
-def mine_user_week_rich_choices(s: SparkSession, d: str) -> DataFrame:
-    return _reported(mine.mine_patterns(V.log_user_week_rich(s, d), 0.3))
-
-
 @query("mine_order_lines_d2_choice", O.lattice_sql("log_order_lines", 0.25))
 def mine_order_lines_d2_choice(s: SparkSession, d: str) -> DataFrame:
     """The choice-only log: all frequent trees."""
