@@ -9,13 +9,17 @@ from pyspark.sql import functions as F
 
 from motifspark.llm import decontam, langid, neardup, packing, secrets, simhash
 from motifspark.llm.common import durable, new_folder, read_table, sized_broadcast
+from motifspark.sources.shared import remove, scratch
 
 #: Bound on a table of ids that a stage broadcasts.
 BROADCAST_BYTES = 32 << 20
 
 
 def keep_identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose language is recognised; those with no letter or too narrow a margin go."""
+    """Documents whose language is recognised; those with no letter (null and empty texts too) or too narrow a margin go.
+
+    A tie of two languages is too narrow; repeated rows share one verdict; an empty table stays empty.
+    """
     model = langid.fit(docs)
     return langid.annotate(docs, model).where("not rejected").select(*[F.col(f"`{c}`") for c in docs.columns])
 
@@ -37,12 +41,19 @@ def keep_one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str, gr
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each group linked by sets of five-word shingles whose Jaccard similarity is 0.8 or more."""
+    """One row of each group linked by sets of five-word shingles whose Jaccard similarity is 0.8 or more.
+
+    Links within the covering radius of SimHash are found first, the others by prefixes. The least doc_id of a group
+    stays; texts without a word are copies of each other; rows without a doc_id stay; an empty table stays empty.
+    """
     return keep_one_of_each_group(spark, docs, sf_dir, neardup.similar_groups)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of which less than a twentieth of the words are benchmark passages, each judged by its own text."""
+    """Documents of which less than a twentieth of the words are benchmark passages, each judged by its own text.
+
+    Null and wordless texts are clean; repeated rows share one verdict; an empty table stays empty.
+    """
     found = decontam.decontaminate(docs, read_table(spark, sf_dir, "benchmark"), keep_key=True).where("contaminated")
     found = _sized(found.select(F.col("doc_id").alias("i"), F.col("tk").alias("k")).distinct())
     same = docs.doc_id.eqNullSafe(found.i) & (decontam.text_key(docs.text.cast("string")) == found.k)
@@ -59,6 +70,8 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of packed sequences; null and empty texts are the end id alone, repeated rows are packed each, an empty
+    table gives no piece."""
     return packing.pack_documents(docs)
 
 
@@ -79,6 +92,9 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     folder = new_folder(spark, "pipeline-")
     for i, (name, stage) in enumerate(STAGES):
-        stage(spark, docs, sf_dir).write.parquet(f"{folder}/{i}-{name}")
+        with scratch(spark):  # what a stage keeps on the way goes once its result is written
+            stage(spark, docs, sf_dir).write.parquet(f"{folder}/{i}-{name}")
+        if i:
+            remove(spark, f"{folder}/{i - 1}-{STAGES[i - 1][0]}")
         docs = spark.read.parquet(f"{folder}/{i}-{name}")
     return docs
