@@ -12,10 +12,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from motifspark.plans.language import language_key
+from motifspark.plans.language import LanguageTooLarge, language_key, words
 from motifspark.plans.lattice import seed_words
 from motifspark.plans.seeds import loop_seeds, seed_kinds
-from motifspark.plans.tree import canonical_word, parse_tree
+from motifspark.plans.tree import Tree, canonical_word, parse_tree
 
 
 def closure_table(patterns: DataFrame, transitive: bool = False) -> DataFrame:
@@ -81,6 +81,36 @@ def postprocess(patterns: DataFrame, generalized: bool = True, loop: bool = True
     return kept.select("pid", "lang")
 
 
+def removals(patterns: DataFrame, transitive: bool = False) -> DataFrame:
+    """``pid, by, kind``: every pattern that post-processing finds to follow from another one, and in which way."""
+    keyed = with_language_key(patterns)
+    own, big = keyed.select(F.col("pid").alias("seed"), "lang"), keyed.select("pid", F.col("lang").alias("big_lang"))
+    met = closure_table(patterns, transitive).distinct().join(own, "seed").join(big, "pid").where("lang <> big_lang")
+    return met.select(F.col("seed").alias("pid"), F.col("pid").alias("by"), "kind")
+
+
+def cost_drivers(patterns: DataFrame) -> DataFrame:
+    """``pid, depth, n_leaves, n_words, n_seeds, n_loop_seeds``: what makes post-processing of a pattern costly."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = [(p, *drivers_of(parse_tree(p))) for p in b.column(0).to_pylist()]
+            cols = list(zip(*rows, strict=True)) or [()] * 6
+            types = [pa.string(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, types, strict=True)], ["pid", "depth", "n_leaves", "n_words", "n_seeds", "n_loop_seeds"])
+
+    return patterns.select("pid").mapInArrow(run, "pid string, depth int, n_leaves int, n_words bigint, n_seeds bigint, n_loop_seeds bigint")
+
+
+def drivers_of(t: Tree) -> tuple[int, int, int | None, int, int]:
+    """Depth, leaves, words of two rounds (none beyond the limit of languages), generalised and loop seeds."""
+    try:
+        n_words = len(words(t, 2))
+    except LanguageTooLarge:
+        n_words = None
+    return t.depth, t.n_leaves, n_words, len(seed_kinds(t)), len(loop_seeds(t))
+
+
 def post_report(patterns: DataFrame) -> list[tuple[str, int, int, float]]:
     """``(step, before, after, ratio)`` for each pruning alone and for all of them."""
     n = patterns.count()

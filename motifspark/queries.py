@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import functools
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -18,7 +17,7 @@ from motifspark.plans.lattice import all_trees, regular_seeds
 from motifspark.plans.seeds import is_seed
 from motifspark.plans.tree import Tree, parse_tree
 from motifspark.sources import views as V
-from motifspark.sources.shared import shared_folder
+from motifspark.sources.shared import new_folder
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -534,7 +533,28 @@ def loop_seed_prune_conv(s: SparkSession, d: str) -> DataFrame:
     return own.join(kept, "pid", "left").select(F.col("pid").alias("tree"), F.coalesce("kept", F.lit(False)).alias("kept"))
 
 
-@query("post_cust_status_counts", "SELECT * FROM (VALUES ('reported', 21::BIGINT, 19::BIGINT), ('all frequent', 30::BIGINT, 19::BIGINT)) AS t(step, n_before, n_after)")
+def _post_ctes(trees: list[str]) -> str:
+    """CTEs with what the trees alone decide: the language of each, and which follows from which in what way."""
+    lang = {t: post.language_key(parse_tree(t))[:16] for t in trees}
+    pairs = set()
+    for big in trees:
+        t = parse_tree(big)
+        pairs |= {(s, big, k) for s, k in post.seed_kinds(t).items()} | {(s, big, "loop") for s in post.loop_seeds(t)}
+    rows = ", ".join(f"('{s}', '{b}', '{k}')" for s, b, k in sorted(pairs) if s in lang and lang[s] != lang[b])
+    return f"lang(tree, lang) AS (VALUES {', '.join(f"('{t}', '{k}')" for t, k in lang.items())}), dom(seed, big, kind) AS (VALUES {rows})"
+
+
+def _post_step(own: str, kinds: tuple[str, ...], one_of_each: bool) -> str:
+    """SQL of the number of patterns of CTE ``own`` that stay."""
+    gone = f"SELECT l.lang FROM dom d JOIN {own} a ON a.tree = d.seed JOIN {own} b ON b.tree = d.big JOIN lang l ON l.tree = d.seed WHERE kind IN ({', '.join(f"'{k}'" for k in (*kinds, ''))})"
+    return f"(SELECT count({'DISTINCT ' if one_of_each else ''}lang) FROM {own} JOIN lang USING (tree) WHERE lang NOT IN ({gone}))"
+
+
+ALL_KINDS = ("regular", "alternative", "loop")
+_SETS = f"rep AS ({O.mined_sql('log_cust_status', CUST_TREES, 0.7, 'tree', kept=True)}), every AS ({O.mined_sql('log_cust_status', CUST_TREES, 0.7, 'tree')}), {_post_ctes(CUST_TREES)}"
+
+
+@query("post_cust_status_counts", f"WITH {_SETS} SELECT 'reported' AS step, (SELECT count(*) FROM rep) AS n_before, {_post_step('rep', ALL_KINDS, True)} AS n_after UNION ALL SELECT 'all frequent', (SELECT count(*) FROM every), {_post_step('every', ALL_KINDS, True)}")
 def post_cust_status_counts(s: SparkSession, d: str) -> DataFrame:
     log = V.log_cust_status(s, d)
     rows = []
@@ -544,12 +564,32 @@ def post_cust_status_counts(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, "step string, n_before bigint, n_after bigint")
 
 
-@query("post_ablation_cust")
+_STEPS = (("generalized", ("regular", "alternative"), False), ("loop", ("loop",), False), ("equivalence", (), True), ("all", ALL_KINDS, True))
+
+
+@query("post_ablation_cust", f"WITH {_SETS} SELECT *, round(n_after / n_before, 6) AS ratio FROM (" + " UNION ALL ".join(f"SELECT '{k}' AS step, (SELECT count(*) FROM every) AS n_before, {_post_step('every', kinds, one)} AS n_after" for k, kinds, one in _STEPS) + ")")
 def post_ablation_cust(s: SparkSession, d: str) -> DataFrame:
     rows = post.post_report(mine.mine_patterns(V.log_cust_status(s, d), 0.7, maximality="none").patterns)
     return s.createDataFrame(rows, "step string, n_before bigint, n_after bigint, ratio double")
 
 
+@query("post_removals_cust", f"WITH {_SETS} SELECT seed AS pid, big AS by, kind FROM dom SEMI JOIN every a ON a.tree = seed SEMI JOIN every b ON b.tree = big")
+def post_removals_cust(s: SparkSession, d: str) -> DataFrame:
+    """Which pattern goes because of which other one."""
+    return post.removals(mine.mine_patterns(V.log_cust_status(s, d), 0.7, maximality="none").patterns)
+
+
+@query("post_removals_conv_rich")
+def post_removals_conv_rich(s: SparkSession, d: str) -> DataFrame:
+    """The qualitative case: on the log with the most activities for its cases, alternative seeds that go, and for what."""
+    return post.removals(mine.mine_patterns(V.log_conv_rich(s, d), 0.3).patterns)
+
+
+@query("cost_drivers_cust", f"WITH {_SETS}, c(tree, depth, n_leaves, n_words, n_seeds, n_loop_seeds) AS (VALUES {', '.join(str((t, *post.drivers_of(parse_tree(t)))) for t in CUST_TREES)}) SELECT tree AS pid, depth, n_leaves, n_words, n_seeds, n_loop_seeds FROM c SEMI JOIN every USING (tree)")
+def cost_drivers_cust(s: SparkSession, d: str) -> DataFrame:
+    return post.cost_drivers(mine.mine_patterns(V.log_cust_status(s, d), 0.7, maximality="none").patterns)
+
+
 @query("post_counts_all_views")
 def post_counts_all_views(s: SparkSession, d: str) -> DataFrame:
     """Patterns before and after post-processing on the stand-ins of the experiments' logs."""
@@ -598,7 +638,7 @@ def graph_edges_reduced_cust(s: SparkSession, d: str) -> DataFrame:
     return R.reduce_edges(_edges(V.log_cust_status(s, d), REDUCE, 0.7)).where("kind = 'spans'").select("src", "dst", "kind")
 
 
-@query("relation_matrix_cust")
+@query("relation_matrix_cust", "SELECT src, dst, " + ", ".join(f"max(support) FILTER (kind = '{k}') AS {k}" for k in R.KINDS) + f" FROM ({_rel_sql('log_cust_status', REL_CUST, R.KINDS, 0.1)}) GROUP BY src, dst")
 def relation_matrix_cust(s: SparkSession, d: str) -> DataFrame:
     return relops.relation_matrix(_edges(V.log_cust_status(s, d), REL_CUST, 0.1), R.KINDS)
 
@@ -705,15 +745,25 @@ def stream_support_events(s: SparkSession, d: str) -> DataFrame:
     single = any(f.endswith("/events.parquet") for f in files)  # the table is one file, and a stream needs its folder
     source = s.readStream.schema(table.schema).option("pathGlobFilter", "events.parquet" if single else "*.parquet")
     events = source.parquet(d if single else f"{d}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
-    cases = S.stream_log(events, "user_id", "event_type", ["ts", "event_id"], watermark="3650 days", size="3 days")
+    cases = S.stream_log(events, "user_id", "event_type", ["ts", "event_id"], watermark="1 day", size="3 days")
     return _drained(s, S.stream_support(cases, STREAM_TREES))
 
 
 def _drained(s: SparkSession, flags: DataFrame) -> DataFrame:
-    """Run the stream over all files that are there, and count hits by window."""
-    name = f"stream_{uuid.uuid4().hex}"
-    run = flags.writeStream.outputMode("update").format("memory").queryName(name).option("checkpointLocation", f"{shared_folder(s)}/{name}")
+    """Run the stream over all files that are there, and count hits by window.
+
+    Each micro-batch is written in the shared folder; of a case that several of them tell of, the last one counts.
+    """
+    folder = new_folder(s, "stream-")
+    s.createDataFrame([], flags.schema).write.parquet(f"{folder}/out/batch_no=-1")
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch_no={number}")
+
+    run = flags.writeStream.outputMode("update").foreachBatch(keep).option("checkpointLocation", f"{folder}/state")
     run.trigger(availableNow=True).start().awaitTermination()
-    sums = [F.sum(F.col(f"hit{i}").cast("long")).alias(f"n{i}") for i in range(len(STREAM_TREES))]
-    by = s.table(name).groupBy((F.unix_timestamp("window_start") / 259200).cast("long").alias("window_no")).agg(F.count("*").alias("n_cases"), *sums)
-    return by.select("window_no", "n_cases", F.inline(F.array(*[F.struct(F.lit(t).alias("tree"), F.col(f"n{i}").alias("n_hits")) for i, t in enumerate(STREAM_TREES)])))
+    hits = [f"hit{i}" for i in range(len(STREAM_TREES))]
+    last = s.read.parquet(f"{folder}/out").groupBy("case_id", "window_start").agg(F.max_by(F.struct(*hits), "batch_no").alias("h"))
+    sums = [F.sum(F.col(f"h.{h}").cast("long")).alias(h) for h in hits]
+    by = last.groupBy((F.unix_timestamp("window_start") / 259200).cast("long").alias("window_no")).agg(F.count("*").alias("n_cases"), *sums)
+    return by.select("window_no", "n_cases", F.inline(F.array(*[F.struct(F.lit(t).alias("tree"), F.col(h).alias("n_hits")) for t, h in zip(STREAM_TREES, hits, strict=True)])))

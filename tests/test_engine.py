@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from motifspark import queries as Q
 from motifspark.functions.columns import contains_expr, shadow_expr
 from motifspark.functions.register import register
-from motifspark.operators import kernel, log as L, mine, post, relations as R
+from motifspark.operators import baseline, kernel, log as L, mine, post, relations as R
 from motifspark.operators.search import align_search, align_trace
 from motifspark.plans.language import is_leftmost, is_subsequence, same_language, shadow_of_word, tail, words
 from motifspark.plans.lattice import Candidate, all_trees, atomic_patterns, combinable, combine, construction_tree, next_level, regular_seeds
@@ -262,3 +262,76 @@ def test_places_beyond_their_room_are_grown_again():
         for s, p in own.at.items():
             assert (narrow[pid].at[s][own.hit] == p[own.hit]).all()
     assert len(narrow._held) == 2 < len(wide._held)
+
+
+def test_measures_of_reported_patterns(spark):
+    log = V.log_cust_status(spark, SF)
+    plain, none = mine.mine_patterns(log, 0.7), mine.mine_patterns(log, 0.7, maximality="none", measure_precision=True)
+    assert {r["precision"] for r in plain.patterns.collect()} == {None} and {r["maximal"] for r in plain.patterns.collect()} == {True}
+    rows = none.patterns.collect()
+    assert all(0 < r["precision"] <= 1 for r in rows) and {r["pid"] for r in rows if r["maximal"]} == {r["pid"] for r in plain.patterns.collect()}
+    general = {r["pid"] for r in mine.mine_patterns(log, 0.7, maximality="generalized").patterns.collect()}
+    assert general == {r["pid"] for r in plain.patterns.collect()} - {w for t in none.trees for w in seed_kinds(t)}
+    for wrong in ({"mode": "grow"}, {"maximality": "all"}, {"choice_rule": "x"}, {"and_order": "x"}, {"places": "x"}, {"loops": "x"}, {"max_depth": 0}):
+        with pytest.raises(ValueError):
+            mine.mine_patterns(log, **wrong)
+    assert mine.mine_patterns(log, 0.7, loops="realigned").frequent == plain.frequent
+
+
+def test_blocks_stay_within_their_bound(monkeypatch):
+    import pyarrow as pa
+
+    monkeypatch.setattr(mine, "CELLS", 1000)
+    lengths = [1] * 900 + [400] * 5 + [5000]
+    batch = pa.RecordBatch.from_arrays([pa.array([[0] * n for n in lengths], pa.list_(pa.int32())), pa.array([1] * len(lengths))], ["acts", "weight"])
+    got = [acts.shape for acts, _ in mine.blocks(batch, ["weight"])]
+    assert sum(r for r, _ in got) == len(lengths) and all(r * w <= 1000 or r == 1 for r, w in got)
+    assert sum(b.num_rows for b in mine.gathered(iter([batch] * 3))) == 3 * len(lengths)
+    tr = coded([list("abcdefg")] * 100)
+    small = kernel.Traces(tr.acts, tr.codes, room=0)
+    for a in "abcabc":
+        assert (small.table(a) == tr.table(a)).all() and len(small._next) == 1
+
+
+def test_depth_three_against_all_trees(spark):
+    rng = random.Random(13)
+    log = Q.literal_log(spark, {str(i): " ".join(rng.choice("abcd") for _ in range(rng.randrange(4, 18))) for i in range(60)})
+    rows = [r["acts"] for r in log.collect()]
+    got = mine.mine_patterns(log, 0.5, max_depth=3, choices=False).frequent
+    want = {}
+    for w in all_trees(list("abcd"), 3):
+        own = words(parse_tree(w))
+        if (n := sum(any(is_subsequence(x, acts) for x in own) for acts in rows)) >= 30:
+            want[w] = n
+    assert got == want and max(parse_tree(w).depth for w in want) == 3
+
+
+def test_reduction_by_joins_and_pair_counts_in_chunks(spark):
+    edges = [("a", "b"), ("b", "c"), ("a", "c"), ("c", "d"), ("a", "d"), ("x", "d")]
+    table = spark.createDataFrame([(a, b, "spans", 1, 1, 1.0) for a, b in edges], R.EDGES)
+    assert {tuple(r) for r in R.reduce_edges_joined(table, "spans").collect()} == R.transitive_reduction(set(edges))
+    with pytest.raises(ValueError):
+        R.reduce_edges_joined(table.union(spark.createDataFrame([("d", "a", "spans", 1, 1, 1.0)], R.EDGES)), "spans")
+    coded_log, codes = mine.encode(V.log_conv(spark, SF))
+    trees = [parse_tree(t) for t in Q.REL_CONV]
+    assert {tuple(r) for r in R.pair_counts(coded_log, trees, codes, chunk=2).collect()} == {tuple(r) for r in R.pair_counts(coded_log, trees, codes).collect()}
+
+
+def test_fragments_do_not_overlap(spark):
+    log = Q.literal_log(spark, {"1": "a b a b b a", "2": "b a", "3": "a c b c a b"})
+    coded_log, codes = mine.encode(log, compress=False)
+    trees = [leaf("a"), seq("a", "b"), par("a", "b"), alt("b", "c")]
+    want = [0] * 4
+    for r in log.collect():
+        for i, t in enumerate(trees):
+            rest = r["acts"]
+            while (f := align_trace(t, rest)).hit:
+                want[i] += 1
+                rest = rest[max(f.places) :]
+    assert baseline.fragments(coded_log, trees, codes) == want
+    assert baseline.determinism(seq("a", "b")) == 1 and baseline.determinism(alt("a", "b")) == 0.5
+
+
+def test_removals_name_what_makes_them(spark):
+    own = spark.createDataFrame([(t,) for t in ("seq(a,b)", "loop(a,b)", "seq(a,and(b,c))", "seq(a,c)")], "pid string")
+    assert {tuple(r) for r in post.removals(own).collect()} >= {("seq(a,b)", "loop(a,b)", "loop"), ("seq(a,c)", "seq(a,and(b,c))", "regular")}
