@@ -217,6 +217,8 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
         rooted = members.join(sized_broadcast(comp, broadcast_bytes), "key", "left").withColumn("root", F.coalesce("root", "key"))
         several = rooted.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("m")).where("lo < hi and m > 2").select("h")
         members = durable(rooted.join(sized_broadcast(durable(several), broadcast_bytes), "h", "left_semi"))
+        if members.isEmpty():
+            break
         y = members
         if round_ < CENTRES:
             # the set with most links, as the original of many copies, is near to those that are not near to each other
