@@ -34,8 +34,8 @@ WINDOW = 4 << 20
 #: deviation of 4.1, so one in some 10 billion of them is lost; unrelated texts differ in 64, deviation 5.7.
 SIFT = 46
 
-#: Rounds in which each set is compared with one other at each meeting place, before those still apart are compared.
-CENTRES = 2
+#: Sets with which all others at a meeting place are compared, before those still apart are compared with one another.
+CENTRES = 16
 
 PRINTS = "doc_id long, tk long, key long, n int, fp long, fq long, h long, c long"
 
@@ -186,8 +186,8 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
     """Links ``(u, v)`` that join set keys exactly as all pairs of the similarity would.
 
     First every set is compared with one other at each of its meeting places, and at its fingerprint and the
-    fingerprints linked with it, then with others where sets of several components still meet; what these links join
-    need not be compared again. Only pairs that meet somewhere and are still apart follow.
+    fingerprints linked with it, then with a fixed number of others where sets of several components still meet; what
+    these links join need not be compared again. Only pairs that meet somewhere and are still apart follow.
     """
     num, den = SIMILARITY
     copies = classes.where("m > 1").select("key", "first_id", "first_tk")
@@ -212,7 +212,7 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
     covered = covered.select(F.greatest("ku.key", "kv.key").alias("u"), F.least("ku.key", "kv.key").alias("v"))
 
     edges = _similar(stars.union(same).union(covered), docs, classes, shingle)
-    for round_ in range(CENTRES + 1):
+    for last in (False, True):
         comp = connected_components(edges).withColumnRenamed("node", "key")
         rooted = members.join(sized_broadcast(comp, broadcast_bytes), "key", "left").withColumn("root", F.coalesce("root", "key"))
         several = rooted.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("m")).where("lo < hi and m > 2").select("h")
@@ -220,14 +220,14 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
         if members.isEmpty():
             break
         y = members
-        if round_ < CENTRES:
+        if not last:
             # the set with most links, as the original of many copies, is near to those that are not near to each other
             ends = edges.select(F.col("u").alias("key")).union(edges.select("v")).groupBy("key").agg(F.count("*").alias("links"))
             linked = members.join(sized_broadcast(durable(ends), broadcast_bytes), "key", "left").withColumn("links", F.coalesce("links", F.lit(0)))
-            order = F.struct("links", F.xxhash64("h", "key")) if round_ == 0 else F.xxhash64(F.lit(round_), "h", "key")
-            y = linked.groupBy("h").agg(F.max_by(F.struct(*members.columns), order).alias("p")).select("p.*")
+            picks = [F.struct("links", "key"), *[F.xxhash64(F.lit(i), "key") for i in range(CENTRES)]]
+            y = linked.groupBy("h").agg(F.array_distinct(F.array(*[F.max_by(F.struct(*members.columns), o) for o in picks])).alias("p")).select(F.inline("p"))
         x, y = members.alias("x"), y.alias("y")
-        once = F.lit(True) if round_ < CENTRES else F.col("x.key") > F.col("y.key")
+        once = F.col("x.key") > F.col("y.key") if last else F.lit(True)
         met = x.join(y, (F.col("x.h") == F.col("y.h")) & (F.col("x.root") != F.col("y.root")) & once & F.expr(near("x.", "y.")))
         rest = durable(met.select(F.greatest("x.key", "y.key").alias("u"), F.least("x.key", "y.key").alias("v")).distinct())
         members = members.drop("root")
