@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable
+from .common import durable, release
 
 
 def _signature(edges: DataFrame) -> tuple:
@@ -38,6 +38,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
     for _ in range(max_rounds):
         edges = durable(_small_star(_large_star(edges)))
+        release(edges.sparkSession)
         now = _signature(edges)
         if now == seen:
             break

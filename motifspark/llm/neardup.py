@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, measured_bytes, sized_broadcast
+from .common import durable, measured_bytes, release, sized_broadcast
 from .components import connected_components
 from .simhash import SEED, near_edges
 
@@ -163,6 +163,7 @@ def _similar(pairs: DataFrame, docs: DataFrame, classes: DataFrame, shingle: int
     """The pairs ``(u, v)`` of set keys whose sets are of the similarity. Sets are made again for texts of some pair only."""
     num, den = SIMILARITY
     pairs = durable(pairs.distinct())
+    release(docs.sparkSession)
     keys = pairs.select(F.col("u").alias("key")).union(pairs.select("v")).distinct()
     wanted = durable(classes.join(keys, "key").select(F.col("first_id").alias("i"), F.col("first_tk").alias("k")))
     named = docs.join(sized_broadcast(wanted, BROADCAST_BYTES), docs.doc_id.eqNullSafe(F.col("i")) & (docs.tk == F.col("k")), "left_semi")
@@ -199,6 +200,7 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
     placed = durable(prefixes(own, shingle, counts, frequent))
     met = durable(placed.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h"))
     members = durable(placed.join(sized_broadcast(met, broadcast_bytes), "h"))
+    release(docs.sparkSession)
     near = lambda x, y: f"{num + den} * least({x}r, {y}r) >= {num} * ({x}n + {y}n) and not {far(x, y)}"
     # keys are hashes, so the least one is as good a centre as any, and the same at most meeting places of similar sets
     first = members.groupBy("h").agg(F.min(F.struct("key", "n", "r", "fp", "fq")).alias("p"))
@@ -213,6 +215,7 @@ def similar_edges(docs: DataFrame, prints: DataFrame, classes: DataFrame, counts
 
     edges = _similar(stars.union(same).union(covered), docs, classes, shingle)
     for last in (False, True):
+        release(docs.sparkSession)
         comp = connected_components(edges).withColumnRenamed("node", "key")
         rooted = members.join(sized_broadcast(comp, broadcast_bytes), "key", "left").withColumn("root", F.coalesce("root", "key"))
         several = rooted.groupBy("h").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("m")).where("lo < hi and m > 2").select("h")

@@ -598,3 +598,13 @@ def test_odd_and_empty_tables(odd, empty, spark):
         assert secrets.redact(table).columns == table.columns
     zero = [r for r in simhash.near_duplicates(odd).collect() if r["doc_id"] in (1, 2, 3)]
     assert {(r["fingerprint"], r["component_id"]) for r in zero} == {("0" * 16, 1)}
+
+
+def test_near_copies_collect_the_drivers_garbage(spark):
+    beans = lambda: {b.getName(): b.getCollectionCount() for b in spark._jvm.java.lang.management.ManagementFactory.getGarbageCollectorMXBeans()}
+    words = " ".join(f"w{i}" for i in range(60))
+    docs = spark.createDataFrame([(1, words), (2, words + " x"), (3, "other words that nobody else has here at all")], "doc_id long, text string")
+    before = beans()
+    assert {tuple(r) for r in neardup.similar_groups(docs).collect()} == {(1, 1), (2, 1), (3, 3)}
+    full = next(n for n in before if "Old" in n or "MarkSweep" in n)
+    assert beans()[full] >= before[full] + 3
