@@ -1,11 +1,16 @@
 """The training-data operators against brute force, round trips and odd input."""
 
 import hashlib
+import os
 import random
 import re
+import subprocess
+import sys
 import zlib
 from collections import Counter
+from pathlib import Path
 
+import pyspark
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -608,3 +613,44 @@ def test_near_copies_collect_the_drivers_garbage(spark):
     assert {tuple(r) for r in neardup.similar_groups(docs).collect()} == {(1, 1), (2, 1), (3, 3)}
     full = next(n for n in before if "Old" in n or "MarkSweep" in n)
     assert beans()[full] >= before[full] + 3
+
+
+ON_A_CLUSTER = """
+import os, re, time
+import pyarrow as pa
+from pyspark.sql import SparkSession
+from motifspark.sources.shared import release
+
+conf = {"spark.master": "local-cluster[2,1,1024]", "spark.executor.memory": "700m", "spark.ui.enabled": "false", "spark.driver.host": "127.0.0.1"}
+spark = SparkSession.builder.config(map=conf).getOrCreate()
+
+def held(batches):
+    for b in batches:
+        time.sleep(1)  # so that each executor gets a task
+        daemon = os.getppid()
+        executor = open(f"/proc/{daemon}/stat").read().rsplit(")", 1)[1].split()[1]
+        mb = sum(map(int, re.findall(r"Pss_Anon: +([0-9]+)", open(f"/proc/{executor}/smaps_rollup").read()))) // 1024
+        yield pa.RecordBatch.from_arrays([pa.array([int(executor)]), pa.array([mb])], ["executor", "mb"])
+
+look = lambda: dict(map(tuple, spark.range(0, 2, 1, 2).mapInArrow(held, "executor long, mb long").collect()))
+look()
+spark.range(0, 4_000_000, 1, 4).selectExpr("repeat(cast(id as string), 5) t").sort("t").write.format("noop").mode("overwrite").save()
+before = look()
+release(spark)
+after = look()
+print("held", sorted(before), sorted(after), min(before[e] - after.get(e, 9999) for e in before), len(before))
+"""
+
+
+def test_release_gives_the_executors_memory_back(tmp_path):
+    home = tmp_path / "home"
+    (home / "work").mkdir(parents=True)
+    for p in Path(pyspark.__file__).parent.iterdir():  # executors keep their logs in Spark's home
+        if p.name != "work":
+            (home / p.name).symlink_to(p)
+    env = {k: v for k, v in os.environ.items() if k != "PYSPARK_SUBMIT_ARGS"}
+    env |= {"SPARK_HOME": str(home), "SPARK_LOCAL_DIRS": str(tmp_path / "local"), "SPARK_LOCAL_IP": "127.0.0.1", "SPARK_SCALA_VERSION": "2.13", "PYSPARK_PYTHON": sys.executable}
+    ran = subprocess.run([sys.executable, "-c", ON_A_CLUSTER], env=env, cwd=tmp_path, capture_output=True, text=True, timeout=120)
+    said = re.search(r"held .* (-?\d+) (\d+)$", ran.stdout, re.M)
+    assert said, ran.stderr[-2000:]
+    assert int(said[2]) == 2 and int(said[1]) > 50
